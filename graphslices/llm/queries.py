@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphslices.llm import line_dedup, line_quality, pii_surrogates, url_templates
+from graphslices.llm import dac, dp_packing, line_dedup, line_quality, pii_surrogates, unigram_pieces, url_templates
 from graphslices.llm.common import table
 
 URL_RULES = [
@@ -25,6 +25,26 @@ def op2_pii_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii_surrogates.with_surrogates(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+def tokenizer_path(name: str = "byte_bpe_50k.json") -> str:
+    """Where the public tokenizers lie: the same place on the driver and on every executor."""
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
+def op4_dp_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return dp_packing.pack(table(spark, sf_dir, "documents"), tokenizer_path())
+
+
+def op5_unigram_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vocabulary = unigram_pieces.load_vocabulary(tokenizer_path("piece_bpe_32k.model"))
+    return unigram_pieces.encode(table(spark, sf_dir, "documents"), vocabulary)
+
+
+def op7_dac_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return dac.round_trip(table(spark, sf_dir, "documents"), tokenizer_path())
+
+
 def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_dedup.dedup_lines(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
@@ -33,4 +53,4 @@ def op9_line_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_quality.measures(table(spark, sf_dir, "documents").select("doc_id", "text")).drop("text")
 
 
-QUERIES = {f.__name__: f for f in (op1_url_templates, op2_pii_surrogates, op8_line_dedup, op9_line_quality)}
+QUERIES = {f.__name__: f for f in (op1_url_templates, op2_pii_surrogates, op4_dp_packing, op5_unigram_pieces, op7_dac_tokens, op8_line_dedup, op9_line_quality)}
