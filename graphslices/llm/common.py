@@ -50,7 +50,11 @@ def let(value: Column, body) -> Column:
 
 def words_of(text: Column) -> Column:
     """The words of a text: its runs of characters other than ASCII white space; null gives none."""
-    return F.array_remove(F.split(F.coalesce(text, F.lit("")), f"{WHITE}+"), "")
+    # every white space as a blank: a split at one plain character needs no pattern
+    plain = F.coalesce(text, F.lit(""))
+    for c in "\t\n\x0b\x0c\r":
+        plain = F.replace(plain, F.lit(c), F.lit(" "))
+    return F.array_remove(F.split(plain, " "), "")
 
 
 def ascii_lower(text: Column) -> Column:

@@ -22,7 +22,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from graphslices.llm.common import NOT_WHITE, cut, let, words_of
+from graphslices.llm.common import NOT_WHITE, cut, let, words_of, written
 
 PLACE = ("doc", "tag", "line_no")
 
@@ -54,11 +54,7 @@ def _halves(words: Column, bound: LineBound) -> Column:
 
     odd = F.array(*of(half(n)))
     even = F.array(*of(half(n)), *of(half(n - 1)))
-    return F.when(n < bound.min_words, F.array().cast(odd_type())).when(n % 2 == 1, odd).otherwise(even)
-
-
-def odd_type() -> str:
-    return "array<struct<side:int,m:int,h:bigint>>"
+    return F.when(n < bound.min_words, F.array().cast("array<struct<side:int,m:int,h:bigint>>")).when(n % 2 == 1, odd).otherwise(even)
 
 
 def _places(frame: DataFrame, other: DataFrame, how: str, cols=PLACE) -> DataFrame:
@@ -71,10 +67,11 @@ def _places(frame: DataFrame, other: DataFrame, how: str, cols=PLACE) -> DataFra
 
 
 def _first_places(docs: DataFrame, bound: LineBound, text: str) -> DataFrame:
-    lines = _lines(docs, text).withColumn("words", words_of(F.lower("line"))).where(F.size("words") > 0)
+    # the filter reads the line, not its words: it is pushed below them and would split each line again
+    lines = _lines(docs, text).where(F.col("line").rlike(NOT_WHITE)).withColumn("words", words_of(F.lower("line")))
     facts = lines.select(
         F.xxhash64("words").alias("k1"), F.xxhash64(F.lit(7), F.col("words")).alias("k2"),
-        F.struct(*PLACE, _halves(F.col("words"), bound).alias("halves")).alias("at"),
+        F.struct(*PLACE, F.size("words").alias("n"), _halves(F.col("words"), bound).alias("halves")).alias("at"),
     )
     return facts.groupBy("k1", "k2").agg(F.min("at").alias("at")).select("at.*")
 
@@ -98,11 +95,10 @@ def _variants(near: DataFrame, bound: LineBound) -> DataFrame:
             whole = F.when(q <= bound.ordered_words, F.xxhash64(g)).otherwise(total)
             gone = F.transform(g, lambda x, i: F.struct(i.alias("i"), rest(x, i).alias("r")))
             row = lambda kind, key: F.struct(F.lit(kind).alias("kind"), key.alias("key"))
-            return F.concat(
-                F.array(row(0, F.xxhash64(h["h"], whole))),
-                F.array_distinct(F.transform(gone, lambda x: row(1, F.xxhash64(h["h"], x["r"])))),
-                F.transform(gone, lambda x: row(2, F.xxhash64(h["h"], x["i"], q, x["r"]))),
-            )
+            none = F.array().cast("array<struct<kind:int,key:bigint>>")
+            cuts = F.concat(F.array(row(0, F.xxhash64(h["h"], whole))), F.array_distinct(F.transform(gone, lambda x: row(1, F.xxhash64(h["h"], x["r"])))))
+            places = F.transform(gone, lambda x: row(2, F.xxhash64(h["h"], x["i"], q, x["r"])))
+            return F.concat(F.when(h["uneven"], cuts).otherwise(none), F.when(h["same"], places).otherwise(none))
 
         return let(bag, emitted)
 
@@ -126,17 +122,20 @@ def one_edit(a: Column, b: Column) -> Column:
 
 def near_copies(docs: DataFrame, firsts: DataFrame, bound: LineBound = LineBound(), text: str = "text") -> DataFrame:
     """The places among `firsts` that have an earlier near copy, each with the earliest found."""
-    halves = firsts.select(*PLACE, F.explode("halves").alias("half"))
-    shared = halves.groupBy(F.col("half.h").alias("h")).count().where("count > 1").select("h")
-    left = halves.join(shared, F.col("half.h") == F.col("h"), "left_semi")
+    halves = firsts.select(*PLACE, "n", F.explode("halves").alias("half"))
+    shared = halves.groupBy(F.col("half.h").alias("h")).agg(F.count("*").alias("members"), (F.min("n") != F.max("n")).alias("uneven")).where("members > 1")
+    left = halves.join(shared, F.col("half.h") == F.col("h"))
+    # lines of one length can only differ by a replaced word, and share the longer half; others also by a removed one
+    same = F.col("half.m") == F.floor(F.col("n") / 2)
+    left = left.where(same | F.col("uneven")).withColumn("half", F.struct("half.*", same.alias("same"), "uneven"))
     by_doc = left.groupBy(*PLACE).agg(F.collect_set("half").alias("halves")).groupBy("doc", "tag").agg(F.collect_list(F.struct("line_no", "halves")).alias("near"))
     texts = docs.select(F.col("doc_id").alias("doc"), F.xxhash64(text).alias("tag"), F.col(text).alias("__text")).where(F.col("__text").isNotNull())
-    found = _places(texts, by_doc, "inner", ("doc", "tag")).dropDuplicates(["doc", "tag"])
+    found = _places(texts, by_doc, "inner", ("doc", "tag"))  # repeated rows repeat their lines, which adds no pair
     lines = found.select(
         "doc", "tag", F.inline(let(F.split("__text", "\n"), lambda t: F.transform("near", lambda x: F.struct(x["line_no"].alias("line_no"), x["halves"].alias("halves"), F.get(t, x["line_no"]).alias("line")))))
     ).select(*PLACE, words_of(F.lower("line")).alias("words"), "halves")
     lines = cut(lines)
-    variants = cut(_variants(lines, bound))
+    variants = written(_variants(lines, bound), "variants")
     place, family = F.struct(*PLACE), (F.col("kind") == 2).alias("family")
     groups = variants.groupBy("key", family).agg(
         F.min(F.when(F.col("kind") != 1, place)).alias("first"), F.min(F.when(F.col("kind") == 1, place)).alias("first_cut"), F.count("*").alias("n")
@@ -155,7 +154,7 @@ def near_copies(docs: DataFrame, firsts: DataFrame, bound: LineBound = LineBound
 def dedup_lines(docs: DataFrame, bound: LineBound = LineBound(), text: str = "text") -> DataFrame:
     """docs with `text` cut down to its kept lines, and n_lines and n_kept (lines with a word)."""
     firsts = cut(_first_places(docs, bound, text))
-    stay = _places(firsts.drop("halves"), near_copies(docs, firsts, bound, text).drop("to"), "left_anti")
+    stay = _places(firsts.drop("halves", "n"), near_copies(docs, firsts, bound, text).drop("to"), "left_anti")
     kept = stay.groupBy("doc", "tag").agg(F.collect_list("line_no").alias("__kept"))
     right = kept.select(F.col("doc").alias("__doc"), F.col("tag").alias("__tag"), "__kept")
     joined = docs.withColumn("__hash", F.xxhash64(text)).join(right, F.equal_null(F.col("doc_id"), F.col("__doc")) & (F.col("__hash") == F.col("__tag")), "left")
