@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphslices.llm import dac, dp_packing, line_dedup, line_quality, pii_surrogates, unigram_pieces, url_templates
+from graphslices.llm import dac, dp_packing, hamming_join, line_dedup, line_quality, pii_surrogates, unigram_pieces, url_templates
 from graphslices.llm.common import table
 
 URL_RULES = [
@@ -53,4 +53,8 @@ def op9_line_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_quality.measures(table(spark, sf_dir, "documents").select("doc_id", "text")).drop("text")
 
 
-QUERIES = {f.__name__: f for f in (op1_url_templates, op2_pii_surrogates, op4_dp_packing, op5_unigram_pieces, op7_dac_tokens, op8_line_dedup, op9_line_quality)}
+def op10_hamming_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return hamming_join.near_components(table(spark, sf_dir, "documents"))
+
+
+QUERIES = {f.__name__: f for f in (op1_url_templates, op2_pii_surrogates, op4_dp_packing, op5_unigram_pieces, op7_dac_tokens, op8_line_dedup, op9_line_quality, op10_hamming_join)}
