@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphslices.llm import dac, dp_packing, hamming_join, line_dedup, line_quality, pii_surrogates, unigram_pieces, url_templates
+from graphslices.llm import dac, dp_packing, hamming_join, learned_partitions, line_dedup, line_quality, pii_surrogates, unigram_pieces, url_templates
 from graphslices.llm.common import table
 
 URL_RULES = [
@@ -25,6 +25,10 @@ def op2_pii_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii_surrogates.with_surrogates(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+def op3_learned_partitions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return learned_partitions.search(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 20 == 0)
+
+
 def tokenizer_path(name: str = "byte_bpe_50k.json") -> str:
     """Where the public tokenizers lie: the same place on the driver and on every executor."""
     import public_tokenizers
@@ -57,4 +61,4 @@ def op10_hamming_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return hamming_join.near_components(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_url_templates, op2_pii_surrogates, op4_dp_packing, op5_unigram_pieces, op7_dac_tokens, op8_line_dedup, op9_line_quality, op10_hamming_join)}
+QUERIES = {f.__name__: f for f in (op1_url_templates, op2_pii_surrogates, op3_learned_partitions, op4_dp_packing, op5_unigram_pieces, op7_dac_tokens, op8_line_dedup, op9_line_quality, op10_hamming_join)}
