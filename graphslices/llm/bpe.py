@@ -1,19 +1,27 @@
-"""Byte-level BPE ids of whole texts by the tokenizers library, with a bounded cache of short stretches of text.
+"""Byte-level BPE ids of whole texts by the tokenizers library, with a bounded table of short stretches of text.
 
-A byte-level BPE never merges across the place before a space that stands between two characters that are not white space. Texts are cut there, and
-only stretches that a worker has not met lately go to the library; the ids of a text are those of its stretches in a row.
-A text with other white space beside spaces goes to the library as it is, in parts of about `PART` characters cut at such a place.
+In a byte-level BPE of this kind, a token that holds a blank after another character that is not white space does not exist: before such a blank a text can be cut,
+and likewise between a letter and a point. The stretches between the cuts are hashed all at once, over the bytes of an Arrow batch; those that a worker has met lately are looked up in its table
+of ids, the others go to the library. The ids of a text are those of its stretches in a row.
 """
 
 from __future__ import annotations
 
 import os
-import re
-from collections.abc import Iterator
 
-_ODD = re.compile(r"[^\S \n]")
-_CUT = re.compile(r"(?<=[A-Za-z]) (?=[A-Za-z])")
-PART = 1_000_000
+import numpy as np
+
+BLOCK = 1 << 20
+STEP = 0x9E3779B97F4A7C15
+_BYTE = np.random.Generator(np.random.PCG64(11)).integers(0, 2**63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+_WHITE = np.zeros(256, bool)
+_WHITE[[*range(0x09, 0x0E), *range(0x1C, 0x21)]] = True
+_LAST = np.zeros(256, bool)  # bytes that end white space of two or three bytes
+_LAST[[*range(0x80, 0x8B), 0x85, 0x9F, 0xA0, 0xA8, 0xA9, 0xAF]] = True
+_LETTER = np.zeros(256, bool)
+_LETTER[[*range(65, 91), *range(97, 123)]] = True
+_POINT = np.zeros(256, bool)
+_POINT[list(b".,;:!?")] = True
 _ENCODERS: dict[str, "Encoder"] = {}
 
 
@@ -24,47 +32,131 @@ def encoder(path: str) -> "Encoder":
     return _ENCODERS[path]
 
 
+def cut_places(data: np.ndarray) -> np.ndarray:
+    """Places where no token can reach across: blanks after a character other than white space (where a few bytes leave that open, there is no cut), points after an ASCII letter, and ASCII letters after a lone line feed."""
+    at = np.flatnonzero(data == 0x20)
+    at = at[at > 0]
+    before = data[at - 1]
+    fine = ~_WHITE[before]
+    odd = np.flatnonzero(fine & _LAST[before])
+    if len(odd):
+        two, three = data[np.maximum(at[odd] - 2, 0)], data[np.maximum(at[odd] - 3, 0)]
+        fine[odd] = ~((two == 0xC2) | ((three >= 0xE1) & (three <= 0xE3)))
+    points = np.flatnonzero(_POINT[data[1:]] & _LETTER[data[:-1]]) + 1
+    lines = np.flatnonzero(_LETTER[data[2:]] & (data[1:-1] == 0x0A) & (data[:-2] < 0x80) & ~_WHITE[data[:-2]]) + 2
+    return np.concatenate([at[fine], points, lines])
+
+
 class Encoder:
-    def __init__(self, path: str, bound: int = 400_000):
+    def __init__(self, path: str, bound: int = 1_000_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.bound, self.known = Tokenizer.from_file(path), bound, {}
+        self.tokenizer, self.bound = Tokenizer.from_file(path), bound
+        vocabulary = self.tokenizer.get_vocab(with_added_tokens=True)
+        self.begins = np.zeros(max(vocabulary.values()) + 1, bool)
+        for piece, i in vocabulary.items():
+            self.begins[i] = piece[:1] == "Ġ"  # stands for a blank in byte-level vocabularies
+        k = np.arange(BLOCK + 1)
+        self.up, self.down = (self._powers(b, len(k)) for b in (STEP, pow(STEP, -1, 2**64)))
+        self._forget()
 
-    def _direct(self, texts: list[str]) -> list[bytes]:
-        import numpy as np
+    @staticmethod
+    def _powers(base: int, n: int) -> np.ndarray:
+        out = np.ones(n, np.uint64)
+        have = 1
+        while have < n:
+            more = min(have, n - have)
+            out[have : have + more] = out[:more] * np.uint64(pow(base, have, 2**64))
+            have += more
+        return out
 
-        return [np.array(x.ids, dtype="<u4").tobytes() for x in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+    def _forget(self) -> None:
+        self.hashes, self.at, self.size = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int32)
+        self.pool, self.used = np.zeros(1 << 20, np.uint32), 0
 
-    @staticmethod
-    def _parts(text: str) -> Iterator[str]:
-        at = 0
-        while len(text) - at > PART:
-            m = _CUT.search(text, at + PART)
-            if not m:
-                break
-            yield text[at : m.start()]
-            at = m.start()
-        yield text[at:] if at else text
-
-    def _part(self, text: str) -> bytes:
-        if not text:
-            return b""
-        front, body = ("", text[1:]) if text[0] == " " and len(text) > 1 and not text[1].isspace() else (None, text)
-        if "  " in body or "\n " in body or " \n" in body or body[0] == " " or body[-1] == " " or _ODD.search(body):
-            return self._direct([text])[0]
-        pieces, known = body.split(" "), self.known
-        first = pieces[0] if front is None else None
-        rest = pieces[1:] if front is None else pieces
-        if new := set(rest).difference(known):
-            if len(known) + len(new) > self.bound:
-                known.clear()
-                new = set(rest)
-            new = list(new)
-            known.update(zip(new, self._direct([" " + x for x in new]), strict=True))
-        tail = b"".join(map(known.__getitem__, rest))
-        return tail if first is None else self._direct([first])[0] + tail
-
-    def encode(self, text: str | None) -> bytes:
-        """The ids of a text as little-endian unsigned 32-bit integers; none for null."""
-        return b"".join(map(self._part, self._parts(text))) if text else b""
+    def _direct(self, texts: list[str]) -> list[np.ndarray]:
+        return [np.array(x.ids, np.uint32) for x in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)] if texts else []
+
+    def _learn(self, hashes: np.ndarray, texts: list[bytes]) -> None:
+        """Ids of stretches not met lately. Those with a blank at the start only are encoded in a row and told apart by the tokens that begin with a blank."""
+        plain = [i for i, t in enumerate(texts) if t[:1] == b" " and t.count(b" ") == 1]
+        if plain:
+            ids = self._direct([b"".join([texts[i] for i in plain]).decode()])[0]
+            starts = np.flatnonzero(self.begins[ids])
+            if len(starts) != len(plain):  # a vocabulary in which a blank begins other tokens
+                plain = []
+        if not plain:
+            ids, starts = np.zeros(0, np.uint32), np.zeros(0, np.int64)
+        simple = set(plain)
+        rest = [i for i in range(len(texts)) if i not in simple]
+        others = self._direct([texts[i].decode() for i in rest])
+        sizes = np.concatenate([np.diff(np.append(starts, len(ids))), [len(x) for x in others]]).astype(np.int32)
+        new = np.concatenate([ids, *others]).astype(np.uint32)
+        if self.used + len(new) > len(self.pool):
+            self.pool = np.concatenate([self.pool[: self.used], np.zeros(max(len(self.pool), len(new)), np.uint32)])
+        self.pool[self.used : self.used + len(new)] = new
+        at = self.used + np.cumsum(sizes, dtype=np.int64) - sizes
+        self.used += len(new)
+        order = np.array(plain + rest)
+        hashes = np.concatenate([self.hashes, hashes[order]])
+        by = np.argsort(hashes, kind="stable")
+        self.hashes, self.at, self.size = hashes[by], np.concatenate([self.at, at])[by], np.concatenate([self.size, sizes])[by]
+
+    def _found(self, h: np.ndarray) -> np.ndarray:
+        place = np.searchsorted(self.hashes, h)
+        place[place == len(self.hashes)] = 0
+        return place
+
+    def _block(self, data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of the stretches of a block of bytes, and how many each has."""
+        if len(data) > BLOCK:  # one stretch longer than a block
+            ids = self._direct([data.tobytes().decode()])[0]
+            return ids, np.array([len(ids)])
+        n = len(data)
+        total = np.zeros(n + 1, np.uint64)
+        np.cumsum(_BYTE[data] * self.up[:n], out=total[1:])
+        h = (total[ends] - total[starts]) * self.down[starts]
+        h = (h ^ (h >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9) + (ends - starts).astype(np.uint64)
+        words, first, which = np.unique(h, return_index=True, return_inverse=True)
+        if len(self.hashes) + len(words) > self.bound:
+            self._forget()
+        missing = np.flatnonzero(self.hashes[self._found(words)] != words) if len(self.hashes) else np.arange(len(words))
+        if len(missing):
+            raw = data.tobytes()
+            self._learn(words[missing], [raw[a:b] for a, b in zip(starts[first[missing]].tolist(), ends[first[missing]].tolist(), strict=True)])
+        place = self._found(words)
+        at, size = self.at[place][which], self.size[place][which].astype(np.int64)
+        before = np.cumsum(size) - size
+        return self.pool[np.repeat(at - before, size) + np.arange(int(size.sum()))], size
+
+    def encode_arrow(self, column) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all texts of an Arrow string array in a row, and the place where each text's begin (with the end last). Nulls have none."""
+        import pyarrow as pa
+
+        column = column.cast(pa.large_string()).fill_null("")
+        offsets = np.frombuffer(column.buffers()[1], np.int64, len(column) + 1, 8 * column.offset)
+        raw = column.buffers()[2]
+        if not len(column) or raw is None or offsets[-1] == offsets[0]:
+            return np.zeros(0, np.uint32), np.zeros(len(column) + 1, np.int64)
+        data, offsets = np.frombuffer(raw, np.uint8)[offsets[0] : offsets[-1]], offsets - offsets[0]
+        begun = np.zeros(len(data) + 1, bool)
+        begun[offsets[:-1]] = True
+        begun[cut_places(data)] = True
+        starts = np.flatnonzero(begun[:-1])
+        ends = np.append(starts[1:], len(data))
+        ids, sizes, i = [], [], 0
+        while i < len(starts):
+            j = max(i + 1, int(np.searchsorted(ends, starts[i] + BLOCK, "right")))
+            got, size = self._block(data[starts[i] : ends[j - 1]], starts[i:j] - starts[i], ends[i:j] - starts[i])
+            ids.append(got)
+            sizes.append(size)
+            i = j
+        total = np.concatenate([[0], np.cumsum(np.concatenate(sizes))])
+        return np.concatenate(ids), total[np.searchsorted(starts, offsets)]
+
+    def encode_many(self, texts: list[str | None]) -> list[np.ndarray]:
+        import pyarrow as pa
+
+        ids, at = self.encode_arrow(pa.array(texts, pa.string()))
+        return [ids[a:b] for a, b in zip(at, at[1:], strict=False)]

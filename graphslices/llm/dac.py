@@ -109,8 +109,11 @@ def token_batches(batches: Iterator, tokenizer: str, end_id: int) -> Iterator[tu
     """(doc_id, ids as bytes) for each row of Arrow batches of (doc_id, text)."""
     enc, end = encoder(tokenizer), np.array([end_id], "<u4").tobytes()
     for batch in batches:
-        for doc, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-            yield doc, enc.encode(text.as_py()) + end
+        ids, at = enc.encode_arrow(batch.column(1))
+        raw = ids.astype("<u4", copy=False).tobytes()
+        places = (4 * at).tolist()
+        for doc, a, b in zip(batch.column(0).to_pylist(), places, places[1:], strict=False):
+            yield doc, raw[a:b] + end
 
 
 def write_tokens(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0, text: str = "text") -> None:
