@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphslices.llm import dac, dp_packing, hamming_join, learned_partitions, line_dedup, line_quality, pii_surrogates, unigram_pieces, url_templates
+from graphslices.llm import context_mixing, dac, dp_packing, hamming_join, learned_partitions, line_dedup, line_quality, pii_surrogates, unigram_pieces, url_templates
 from graphslices.llm.common import table
 
 URL_RULES = [
@@ -45,6 +45,10 @@ def op5_unigram_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
     return unigram_pieces.encode(table(spark, sf_dir, "documents"), vocabulary)
 
 
+def op6_context_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return context_mixing.score(table(spark, sf_dir, "documents"))
+
+
 def op7_dac_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dac.round_trip(table(spark, sf_dir, "documents"), tokenizer_path())
 
@@ -61,4 +65,4 @@ def op10_hamming_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return hamming_join.near_components(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_url_templates, op2_pii_surrogates, op3_learned_partitions, op4_dp_packing, op5_unigram_pieces, op7_dac_tokens, op8_line_dedup, op9_line_quality, op10_hamming_join)}
+QUERIES = {f.__name__: f for f in (op1_url_templates, op2_pii_surrogates, op3_learned_partitions, op4_dp_packing, op5_unigram_pieces, op6_context_mixing, op7_dac_tokens, op8_line_dedup, op9_line_quality, op10_hamming_join)}
