@@ -14,15 +14,20 @@ from graphslices.llm.common import table, written
 from graphslices.llm.queries import tokenizer_path
 
 
+def _sized(docs: DataFrame) -> DataFrame:
+    """docs with n_chars, if they have it, told anew after a change of the text."""
+    return docs.withColumn("n_chars", F.length("text").cast(dict(docs.dtypes)["n_chars"])) if "n_chars" in docs.columns else docs
+
+
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Failing lines and rejected documents go."""
-    return line_quality.clean(docs)
+    return _sized(line_quality.clean(docs))
 
 
 def dedup_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Lines seen earlier go, and documents that had nothing else."""
     done = line_dedup.dedup_lines(docs)
-    return done.where((F.col("n_kept") > 0) | (F.col("n_lines") == 0)).select(*docs.columns)
+    return _sized(done.where((F.col("n_kept") > 0) | (F.col("n_lines") == 0)).select(*docs.columns))
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -32,7 +37,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def surrogates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return pii_surrogates.with_surrogates(docs).select(*docs.columns)
+    return _sized(pii_surrogates.with_surrogates(docs).select(*docs.columns))
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
