@@ -34,3 +34,11 @@ def ship(spark: SparkSession) -> None:
             out.write(f, f"{PACKAGE.name}/{f.relative_to(PACKAGE)}")
     sc.addPyFile(str(path))  # served by the driver to every executor
     sc._graphslices_shipped = True
+
+
+def cut(df):
+    """df with its lineage cut by a reliable checkpoint. Only where the session names no folder (tests on one machine) a local one is set."""
+    sc = df.sparkSession.sparkContext
+    if not (df.sparkSession.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()):
+        sc.setCheckpointDir(tempfile.mkdtemp(prefix="graphslices-"))
+    return df.checkpoint()
