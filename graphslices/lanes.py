@@ -37,11 +37,11 @@ def lane_blend(a: Column, b: Column, mask: Column) -> Column:
 
 
 def lane_min(a: Column, b: Column) -> Column:
-    return F.zip_with(a, b, F.least)
+    return F.zip_with(a, b, lambda x, y: F.least(x, y))
 
 
 def lane_max(a: Column, b: Column) -> Column:
-    return F.zip_with(a, b, F.greatest)
+    return F.zip_with(a, b, lambda x, y: F.greatest(x, y))
 
 
 def lane_add(a: Column, b: Column, saturate: bool = False) -> Column:
