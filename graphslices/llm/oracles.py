@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from graphslices.llm import line_dedup, line_quality, url_templates
+from graphslices.llm.queries import URL_RULES
 
 WS = r"[\x20\x09-\x0D]"
 
@@ -61,7 +62,41 @@ select d.doc_id, string_agg(x, chr(10) order by i) filter (kept) as text0, count
 from {source} d left join marked m on m.doc_id = d.doc_id group by d.doc_id, d.text"""
 
 
+def url_templates_sql(rules: list[url_templates.Rule], limits: url_templates.TreeLimits = url_templates.TreeLimits()) -> str:
+    """The tree level by level: one statement for each, as deep as the limits say."""
+    t = limits
+    order = sorted(rules, key=lambda r: (-len(r.text), r.text))
+    fits = {r: f"((host = '{r.host}' or ends_with(host, '.{r.host}')) and starts_with(path, '{r.path}'))" for r in order}
+    levels = []
+    for k in range(1, t.max_depth + 1):
+        levels.append(f"""
+k{k} as (select host, template, seg[{k + 1}] as child, sum(n) as n, sum(labelled) as labelled, sum(bad) as bad from t{k - 1} where seg[{k + 1}] is not null group by all),
+n{k} as (select host, template, count(*) as fan, sum(n) as an, sum(labelled) as al, sum(bad) as ab from k{k} group by all),
+m{k} as (select host, template, child, case when child = '' then '' when fan = 1 then child when fan > {t.max_children} and n < {t.rare_share} * an then '*'
+    when labelled > 0 and abs(bad / labelled - ab / al) > {t.z} * sqrt(ab / al * (1 - ab / al) / labelled) then child else '*' end as name from k{k} join n{k} using (host, template)),
+t{k} as materialized (select t.host, shape, case when m.child is null then t.template else t.template || '/' || m.name end as template, n, labelled, bad, seg
+    from t{k - 1} t left join m{k} m on t.host = m.host and t.template = m.template and t.seg[{k + 1}] = m.child)""")
+    d = t.max_depth
+    return f"""
+with u as (select page_id, case when instr(url, '://') > 0 then substr(url, instr(url, '://') + 3) else '' end as rest from pages),
+h as (select page_id, coalesce(rest, '') as rest, regexp_extract(coalesce(rest, ''), '^[^/?#]*') as raw from u),
+p as (select page_id, translate(raw, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') as host, regexp_extract(substr(rest, length(raw) + 1), '^[^?#]*') as path from h),
+s as (select *, regexp_replace(lower(path), '[0-9]+', '{{n}}', 'g') as shape from p),
+l as (select doc_id as page_id, count(*) as labelled, sum(greatest(1 - quality, toxic)) as bad from labels where quality is not null or toxic is not null group by 1),
+t0 as materialized (select host, shape, '' as template, count(*) as n, coalesce(sum(labelled), 0) as labelled, coalesce(sum(bad), 0) as bad, string_split(shape, '/') as seg from s left join l using (page_id) group by host, shape),
+{','.join(levels)},
+tree as (select host, shape, template || case when len(seg) > {d + 1} then '/' || array_to_string(seg[{d + 2}:], '/') else '' end as template, labelled, bad from t{d}),
+hosts as (select host, sum(labelled) as hl, sum(bad) as hb from tree group by host),
+g as (select (sum(hl - hb) + 1) / (sum(hl) + 2) as g from hosts),
+leaves as (select host, template, sum(labelled) as l, ((sum(labelled) - sum(bad)) + {t.prior} * ((any_value(hl) - any_value(hb)) + {t.prior} * any_value(g)) / (any_value(hl) + {t.prior})) / (sum(labelled) + {t.prior}) as purity
+    from tree join hosts using (host), g group by host, template)
+select page_id, s.host, path, case {' '.join(f"when {fits[r].replace('host', 's.host')} then '{r.text}'" for r in order)} end as rule,
+  case {' '.join(f"when {fits[r].replace('host', 's.host')} then '{r.verdict}'" for r in order)} when l > 0 and purity < {t.min_purity} then 'block' else 'allow' end as verdict, template, purity
+from (select page_id, host, path, shape from s) s join tree using (host, shape) join leaves using (host, template)"""
+
+
 ORACLES = {
+    "op1_url_templates": url_templates_sql(URL_RULES),
     "op8_line_dedup": f"select doc_id, text, n_lines, n_kept from ({line_dedup_sql()})",
     "op9_line_quality": line_quality_sql(),
 }
