@@ -40,6 +40,14 @@ def degrees(edges: DataFrame, vertices: DataFrame | None = None) -> DataFrame:
     return vertices.join(deg, "id", "left").select("id", F.coalesce("deg", F.lit(0).cast("long")).alias("deg"))
 
 
+def all_degrees(edges: DataFrame, extra: DataFrame | None = None) -> DataFrame:
+    """(id, deg) of every end of an edge and of `extra` (id), ends without a row of their own with degree 0: one aggregation."""
+    ends = edges.select(F.explode(F.array(F.struct(F.col("src").alias("id"), F.lit(1).alias("k")), F.struct(F.col("dst").alias("id"), F.lit(0).alias("k")))).alias("e")).select("e.*")
+    if extra is not None:
+        ends = ends.unionByName(extra.select(F.col("id").cast("long"), F.lit(0).alias("k")))
+    return ends.groupBy("id").agg(F.sum("k").alias("deg"))
+
+
 def degree_summary(deg: DataFrame) -> DataFrame:
     """One row: n, nnz, largest degree, slots a row and edges a row (half of that)."""
     return deg.agg(
@@ -77,8 +85,9 @@ def global_rank(df: DataFrame, *order) -> DataFrame:
     """df with `pos`, its place from 0 in a total order, without a window over all rows: ranges are sorted apart, and the counts of the ranges before are added."""
     from graphslices.session import cut
 
-    ranged = cut(df.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("__part", F.spark_partition_id()))
-    counts = ranged.groupBy("__part").agg(F.count("*").alias("__n"))  # a row for each range
+    # the id of a row holds its partition and its place in it: no window, and no shuffle beside the one by ranges
+    ranged = cut(df.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("__at", F.monotonically_increasing_id()))
+    part, local = F.shiftright("__at", 33), F.col("__at").bitwiseAND(F.lit((1 << 33) - 1))
+    counts = ranged.groupBy(part.alias("__part")).agg(F.count("*").alias("__n"))  # a row for each range
     before = counts.select("__part", F.coalesce(F.sum("__n").over(Window.orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("__base"))
-    local = F.row_number().over(Window.partitionBy("__part").orderBy(*order)) - 1
-    return ranged.withColumn("__local", local).join(F.broadcast(before), "__part").withColumn("pos", (F.col("__local") + F.col("__base")).cast("long")).drop("__part", "__local", "__base")
+    return ranged.join(F.broadcast(before), part == F.col("__part")).withColumn("pos", (local + F.col("__base")).cast("long")).drop("__part", "__at", "__base")

@@ -7,14 +7,15 @@ slices keep no values, only neighbours' places and a marker in padded slots. A c
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from graphslices.edges import degrees, global_rank, vertex_set
+from graphslices.edges import all_degrees, global_rank
 from graphslices.schema import MARK
-from graphslices.session import cut
+from graphslices.session import cut, ship
 
 LANES = {"avx32": 8, "knl32": 16, "gpu": 32}
 WIDE = 4096
@@ -106,40 +107,61 @@ def build_slices(
 ) -> Layout:
     """Slices of (src, dst[, values]). sigma None: one scope over all rows. vertices (id) adds isolated ones."""
     valued = valued or values is not None
-    ids = vertex_set(edges, vertices)
-    deg = degrees(edges, ids)
+    deg = cut(all_degrees(edges, vertices))
     n, nnz = deg.agg(F.count("*"), F.coalesce(F.sum("deg"), F.lit(0))).first()
     pos = cut(sorted_positions(deg, sigma).select("id", "deg", "pos"))
-    spark = edges.sparkSession
-    chunk, lane = F.floor(F.col("pos") / c).alias("chunk_id"), (F.col("pos") % c).cast("int").alias("lane")
-    rows = pos.select("pos", "deg").unionByName(spark.range(n, -(-n // c) * c).select(F.col("id").alias("pos"), F.lit(0).cast("long").alias("deg")))
-    widths = rows.groupBy(chunk).agg(F.max("deg").cast("int").alias("full"))
     kept = ["v"] if valued else []
     value = [F.col(values).cast("double").alias("v") if values else F.lit(1.0).alias("v")] if valued else []
     entry = edges.select("src", "dst", *value).join(pos.select(F.col("id").alias("src"), F.col("pos").alias("row")), "src")
     entry = entry.join(pos.select(F.col("id").alias("dst"), F.col("pos").alias("col")), "dst").select("row", "col", *kept)
-    # A slot is a neighbour's rank in its row: inside stretches of columns, after the counts of the stretches before, so that a hub's row is not one window.
-    part = F.floor(F.col("col") / spread)
-    counts = entry.groupBy("row", part.alias("part")).agg(F.count("*").alias("k"))
-    base = counts.select("row", "part", F.coalesce(F.sum("k").over(Window.partitionBy("row").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("base"))
-    own = F.row_number().over(Window.partitionBy("row", "part").orderBy("col")) - 1
+    entry = entry.withColumn("chunk_id", F.floor(F.col("row") / c))
     if n > spread:
+        # A slot is a neighbour's rank in its row: inside stretches of columns, after the counts of the stretches before, so that a hub's row is not one window.
+        part = F.floor(F.col("col") / spread)
+        counts = entry.groupBy("row", part.alias("part")).agg(F.count("*").alias("k"))
+        before = Window.partitionBy("row").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+        base = counts.select("row", "part", F.coalesce(F.sum("k").over(before), F.lit(0)).alias("base"))
+        own = F.row_number().over(Window.partitionBy("row", "part").orderBy("col")) - 1
         entry = entry.withColumn("part", part).withColumn("own", own).join(base, ["row", "part"]).withColumn("slot", (F.col("own") + F.col("base")).cast("int"))
-    else:  # one stretch holds every column
-        entry = entry.withColumn("part", F.lit(0)).withColumn("slot", own.cast("int"))
-    entry = entry.select(F.floor(F.col("row") / c).alias("chunk_id"), (F.col("row") % c).cast("int").alias("lane"), "slot", "col", *kept)
-    lanes = rows.select(chunk, lane, "deg").join(widths, "chunk_id")
-    gap = lanes.where("deg < full").select("chunk_id", "lane", F.explode(F.sequence(F.col("deg").cast("int"), F.col("full") - 1)).alias("slot"))
-    gap = gap.select("chunk_id", "lane", "slot", F.lit(MARK).cast("long").alias("col"), *([F.lit(pad_value).alias("v")] if valued else []))
-    cell = F.struct(((F.col("slot") % tile_width) * c + F.col("lane")).alias("k"), "col", *kept)
-    tiles = entry.unionByName(gap).groupBy("chunk_id", F.floor(F.col("slot") / tile_width).cast("int").alias("tile_id")).agg(F.sort_array(F.collect_list(cell)).alias("cells"))
-    empty = widths.where("full = 0").select(
+    else:
+        # One stretch holds every column: dealt by chunk once, the ranks and the tiles need no further shuffle.
+        entry = entry.repartition("chunk_id").withColumn("slot", F.row_number().over(Window.partitionBy("chunk_id", "row").orderBy("col")) - 1)
+    place = ((F.col("slot") % tile_width) * c + F.col("row") % c).cast("int")
+    tile = F.floor(F.col("slot") / tile_width).cast("int").alias("tile_id")
+    tiles = entry.groupBy("chunk_id", tile).agg(F.collect_list(F.struct(place.alias("k"), "col", *kept)).alias("cells"))
+    parts = tiles.select("chunk_id", "tile_id", F.col("cells.k").alias("k"), F.col("cells.col").alias("col"), *([F.col("cells.v").alias("v")] if valued else []))
+    slices = _filled(parts, c, valued, pad_value)
+    empty = pos.groupBy(F.floor(F.col("pos") / c).alias("chunk_id")).agg(F.max("deg").alias("top")).where("top = 0").select(
         "chunk_id", F.lit(0).alias("tile_id"), F.lit(0).alias("width"), F.array().cast("array<bigint>").alias("col"), *([F.array().cast("array<double>").alias("val")] if valued else [])
     )
-    slices = tiles.select(
-        "chunk_id", "tile_id", F.floor(F.size("cells") / c).cast("int").alias("width"), F.col("cells.col").alias("col"), *([F.col("cells.v").alias("val")] if valued else [])
-    ).unionByName(empty)
-    return Layout(cut(slices), pos, c, sigma or n, n, nnz, tile_width, valued)
+    return Layout(cut(slices.unionByName(empty)), pos, c, sigma or n, n, nnz, tile_width, valued)
+
+
+def _filled(parts: DataFrame, c: int, valued: bool, pad_value: float) -> DataFrame:
+    """Slices from their cells (k, col[, v]) in any order: the longest row gives the width, markers and pad values fill the rest."""
+    ship(parts.sparkSession)
+
+    def run(batches: Iterator) -> Iterator:
+        import numpy as np
+        import pyarrow as pa
+
+        for b in batches:
+            if not len(b):
+                continue
+            k = np.asarray(b.column(2).flatten()).astype(np.int64)
+            size = np.asarray(b.column(2).value_lengths()).astype(np.int64)
+            width = np.maximum.reduceat(k, np.cumsum(size) - size) // c + 1
+            ends = np.cumsum(width * c)
+            at = np.repeat(ends - width * c, size) + k
+            offsets = pa.array(np.append(0, ends).astype(np.int32))
+            arrays = [b.column(0), b.column(1), pa.array(width.astype(np.int32))]
+            for i, fill, kind in ((3, MARK, np.int64), (4, pad_value, np.float64))[: 1 + valued]:
+                flat = np.full(int(ends[-1]), fill, kind)
+                flat[at] = np.asarray(b.column(i).flatten())
+                arrays.append(pa.ListArray.from_arrays(offsets, pa.array(flat)))
+            yield pa.RecordBatch.from_arrays(arrays, names=["chunk_id", "tile_id", "width", "col", "val"][: 4 + valued])
+
+    return parts.mapInArrow(run, "chunk_id long, tile_id int, width int, col array<bigint>" + ", val array<double>" * valued)
 
 
 def build_pattern_slices(edges: DataFrame, c: int = 8, sigma: int | None = None, tile_width: int = WIDE, vertices: DataFrame | None = None) -> Layout:
