@@ -103,10 +103,15 @@ def repeated_words(words: Column) -> Column:
 
 def measures(df: DataFrame, rules: LineRules = LineRules(), text: str = "text") -> DataFrame:
     """df with n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, clean_chars, base_failed and kept."""
-    words, lines, kept = "__words", "__lines", "__clean"
-    staged = df.withColumns({words: words_of(F.col(text)), lines: F.split(F.coalesce(F.col(text), F.lit("")), "\n")})
+    return _judged(df, rules, text).drop("__clean")
+
+
+def _judged(df: DataFrame, rules: LineRules, text: str) -> DataFrame:
+    """measures and __clean, the lines that do not fail."""
+    words, lines = "__words", "__lines"
+    staged = df.withColumns({words: words_of(F.col(text)), lines: F.split(F.coalesce(F.col(text), F.lit("")), "\n"), "__clean": kept_lines(F.col(text), rules)})
     spoken = F.filter(F.col(lines), lambda x: x.rlike(NOT_WHITE))
-    clean = F.filter(F.col(lines), lambda x: ~line_fails(x, rules))
+    clean = F.col("__clean")
     n = F.col("n_words")
     staged = staged.withColumns(
         {
@@ -121,10 +126,12 @@ def measures(df: DataFrame, rules: LineRules = LineRules(), text: str = "text")
     failed = (n < rules.min_words) | (100 * F.col("n_repeat_words") > rules.max_repeat_percent * n)
     staged = staged.withColumn("base_failed", failed)
     enough = F.col("clean_chars") >= (1 - rules.lost_share) * F.col("word_chars")
-    return staged.withColumn("kept", ~F.col("base_failed") & enough).drop(words, lines, kept)
+    return staged.withColumn("kept", ~F.col("base_failed") & enough).drop(words, lines)
 
 
 def clean(df: DataFrame, rules: LineRules = LineRules(), text: str = "text") -> DataFrame:
     """The documents that pass, without their failing lines, in df's columns."""
-    judged = measures(df, rules, text).where("kept")
-    return judged.withColumn(text, F.array_join(kept_lines(F.col(text), rules), "\n")).select(*df.columns)
+    judged, rest = _judged(df, rules, text), [c for c in df.columns if c != text]
+    # A filter would be pushed below the measures and have them computed again; a generator passes each row or none.
+    passed = F.when(F.col("kept"), F.array(F.array_join("__clean", "\n"))).otherwise(F.array().cast("array<string>"))
+    return judged.select(*rest, F.explode(passed).alias(text)).select(*df.columns)
