@@ -108,7 +108,7 @@ def in_order(docs: DataFrame, text: str = "text") -> DataFrame:
 def token_batches(batches: Iterator, tokenizer: str, end_id: int) -> Iterator[tuple[int | None, bytes]]:
     """(doc_id, ids as bytes) for each row of Arrow batches of (doc_id, text)."""
     enc, end = encoder(tokenizer), np.array([end_id], "<u4").tobytes()
-    for batch in batches:
+    for batch in (b.slice(at, 1024) for b in batches for at in range(0, len(b), 1024)):
         ids, at = enc.encode_arrow(batch.column(1))
         raw = ids.astype("<u4", copy=False).tobytes()
         places = (4 * at).tolist()
