@@ -252,7 +252,8 @@ def encode(docs: DataFrame, vocabulary: Vocabulary, text: str = "text", with_ids
         is_byte[v.byte_id[v.byte_id >= 0]] = True
         cost = v.score.copy()
         cost[is_byte] = 0
-        for batch in batches:
+        # some hundred texts at a time: all words of a whole Arrow batch would be held at once
+        for batch in (b.slice(at, 256) for b in batches for at in range(0, len(b), 256)):
             texts = batch.column(1).to_pylist()
             cols: list[list] = [[] for _ in range(6 + with_ids)]
             for doc, t, ids in zip(batch.column(0).to_pylist(), texts, seg.encode_many(texts), strict=True):
