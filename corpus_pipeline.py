@@ -13,6 +13,10 @@ from graphslices.llm import dp_packing, hamming_join, line_dedup, line_quality,
 from graphslices.llm.common import table, written
 from graphslices.llm.queries import tokenizer_path
 
+# Near copies of this stage are pairs of a similarity of 0.8 or more; op10's own default is 0.85. 16 chunks with one error each reach distance 31,
+# which a pair at 0.8 leaves with a chance of less than a millionth.
+NEAR = hamming_join.HammingJoin(percent=80, chunks=16, distance=31)
+
 
 def _sized(docs: DataFrame) -> DataFrame:
     """docs with n_chars, if they have it, told anew after a change of the text."""
@@ -32,7 +36,7 @@ def dedup_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of near copies the document with the least id stays."""
-    kept = hamming_join.near_components(docs).where("kept").select(F.col("doc_id").alias("__kept")).distinct()
+    kept = hamming_join.near_components(docs, NEAR).where("kept").select(F.col("doc_id").alias("__kept")).distinct()
     return docs.join(kept, F.equal_null(F.col("doc_id").cast("long"), F.col("__kept")), "left_semi").select(*docs.columns)
 
 

@@ -50,3 +50,18 @@ def test_stages_on_odd_rows(spark, odd_docs, no_docs):
             assert out.columns == docs.columns and out.count() <= docs.count()
         assert pipe.packing(spark, docs, "").count() >= (docs.count() > 0)
     assert line_quality.clean(no_docs).count() == pii_surrogates.with_surrogates(no_docs).count() == 0
+
+
+def test_near_duplicates_down_to_similarity_080(spark):
+    """Pairs with two words of 104 replaced have a similarity of 90 / 110: a threshold of 0.85 leaves both copies."""
+    docs = {}
+    for i in range(40):
+        words = [f"w{i}x{k}" for k in range(104)]
+        docs[2 * i] = " ".join(words)
+        words[20], words[70] = "other", "changed"
+        docs[2 * i + 1] = " ".join(words)
+    df = spark.createDataFrame(list(docs.items()), "doc_id long, text string")
+    comp = brute.near_components(docs, 80)
+    want = {i for i, c in comp.items() if c == i}
+    assert len(want) == 40 and len(set(brute.near_components(docs).values())) == 80
+    assert {r.doc_id for r in pipe.near_duplicates(spark, df, "").collect()} == want
