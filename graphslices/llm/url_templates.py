@@ -7,7 +7,8 @@ the labels set apart keep their names. A template is rejected when its purity, t
 host's, which is smoothed towards the whole table's, is below a threshold.
 
 Pages are first counted by (host, shape of path): all later steps work on these counts, and pages are only joined with
-the finished templates, where adaptive execution splits a host's rows over tasks. Nothing is collected or capped; levels past `max_depth` keep their shape.
+the finished templates, where adaptive execution splits a host's rows over tasks. Nothing is collected or capped: the first `max_depth` levels are taken one at a time, and
+from there on a stretch of segments that all of a node's shapes share, whose names stay, is passed in one step, so the steps are as many as the branchings of a path and not its segments.
 
 Edge cases: a null url or one without `://` has an empty host and path, and takes part as the host ''; null labels count as unlabelled;
 a page labelled several times counts each label; repeated rows are judged alike; an empty table gives an empty one; other columns of the pages are carried through by `judge`.
@@ -36,7 +37,7 @@ class Rule:
 
 @dataclass(frozen=True)
 class TreeLimits:
-    """max_children: above so many, children with less than rare_share of the node's pages become `*`. z: width of the test. prior: pseudo-labels. min_purity: threshold."""
+    """max_depth: so many levels are taken one at a time, all deeper ones by their branchings. max_children: above so many, children with less than rare_share of the node's pages become `*`. z: width of the test. prior: pseudo-labels. min_purity: threshold."""
 
     max_depth: int = 6
     max_children: int = 20
@@ -68,15 +69,35 @@ def shape(path: Column) -> Column:
     return F.regexp_replace(F.lower(path), "[0-9]+", "{n}")
 
 
+def _shared_passed(tree: DataFrame) -> DataFrame:
+    """tree with the segments that begin all of a node's open shapes moved to the template: an only child keeps its name."""
+    ends = tree.where(F.size("seg") > 0).groupBy("host", "template").agg(F.min("seg").alias("a"), F.max("seg").alias("b"))
+    # what the least and the greatest shape share, all share: the place of their first difference, or the length of the shorter
+    differ = F.array_position(F.zip_with("a", "b", lambda x, y: F.equal_null(x, y)), False)
+    shared = F.when(differ > 0, differ - 1).otherwise(F.least(F.size("a"), F.size("b"))).cast("int")
+    ends = ends.select("host", "template", shared.alias("shared"))
+    some = (F.col("shared") > 0) & (F.size("seg") > 0)
+    return tree.join(ends, ["host", "template"], "left").withColumns({
+        "template": F.when(some, F.concat("template", F.lit("/"), F.array_join(F.slice("seg", F.lit(1), F.col("shared")), "/"))).otherwise(F.col("template")),
+        "seg": F.when(some, F.slice("seg", F.col("shared") + 1, F.size("seg"))).otherwise(F.col("seg")),
+    }).drop("shared")
+
+
 def templates(pages: DataFrame, limits: TreeLimits = TreeLimits()) -> DataFrame:
     """(host, shape, template, labelled, purity, rejected) from pages with host, path, labelled and bad (counts of labels)."""
     counts = {"n": F.count("*"), "labelled": F.sum("labelled"), "bad": F.sum("bad")}
     base = cut(pages.groupBy("host", shape(F.col("path")).alias("shape")).agg(*[c.alias(k) for k, c in counts.items()]))
     depth = base.agg(F.max(F.size(F.split("shape", "/")))).first()[0] or 1
     sums = lambda: [F.sum(c).alias(c) for c in counts]
-    tree = base.withColumns({"seg": F.split("shape", "/"), "template": F.lit("")})
-    for level in range(1, min(depth - 1, limits.max_depth) + 1):
-        child = F.get("seg", F.lit(level))
+    tree = base.withColumns({"seg": F.split("shape", "/"), "template": F.lit("")}).withColumn("seg", F.slice("seg", 2, F.size("seg")))
+    level = 0
+    while level < depth - 1:  # `seg` holds what is not yet in the template
+        if level >= limits.max_depth:
+            tree = cut(_shared_passed(tree))
+            if tree.where(F.size("seg") > 0).isEmpty():
+                break
+        level += 1
+        child = F.get("seg", F.lit(0))
         kids = tree.where(child.isNotNull()).groupBy("host", "template", child.alias("child")).agg(*sums())
         node = kids.groupBy("host", "template").agg(
             F.count("*").alias("fan"), F.sum("n").alias("all_n"), F.sum("labelled").alias("all_labelled"), F.sum("bad").alias("all_bad")
@@ -92,10 +113,8 @@ def templates(pages: DataFrame, limits: TreeLimits = TreeLimits()) -> DataFrame:
         tree = cut(
             tree.withColumn("child", child).join(kids, ["host", "template", "child"], "left")
             .withColumn("template", F.when(F.col("child").isNull(), F.col("template")).otherwise(F.concat("template", F.lit("/"), "name")))
-            .select("host", "shape", "template", *counts, "seg")
+            .select("host", "shape", "template", *counts, F.slice("seg", 2, F.size("seg")).alias("seg"))
         )
-    tail = F.array_join(F.slice("seg", limits.max_depth + 2, F.greatest(F.size("seg"), F.lit(1))), "/")
-    tree = tree.withColumn("template", F.when(F.size("seg") > limits.max_depth + 1, F.concat("template", F.lit("/"), tail)).otherwise(F.col("template")))
     smooth = lambda good, n, towards: (good + limits.prior * towards) / (n + limits.prior)
     hosts = tree.groupBy("host").agg(F.sum("labelled").alias("hl"), F.sum("bad").alias("hb"))
     total = hosts.agg(((F.sum(F.col("hl") - F.col("hb")) + 1) / (F.sum("hl") + 2)).alias("g"))  # one row

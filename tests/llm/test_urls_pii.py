@@ -97,6 +97,19 @@ def test_templates_against_plain_code(spark):
     assert any("/spam/" in t for t, _ in want.values()) and any("*" in t for t, _ in want.values())
 
 
+def test_deep_segments_are_generalised(spark):
+    """Variable words in the 9th and 12th segment: plain code without a bound of depth gives the same templates, and the bad section is rejected."""
+    words = [a + b for a in "abcdefgh" for b in "klmnop"]
+    pages = [("a.example", f"/1/2/3/x/5/6/7/{s}/{w}/t/u/{v}{e}", 1, int(s == "spam")) for s in ("news", "spam") for w in words for v, e in ((w, ""), (w + "z", "/end"))]
+    pages += [("b.example", "/s" * 9, 1, 0), ("b.example", "/s" * 12, 1, 0), ("b.example", "/s" * 400, 0, 0)]
+    df = spark.createDataFrame(pages, "host string, path string, labelled long, bad long")
+    want = plain_templates(pages, url.TreeLimits(max_depth=400))
+    got = {(r.host, r["shape"]): r for r in url.templates(df).collect()}
+    assert {k: r.template for k, r in got.items()} == {k: t for k, (t, _) in want.items()}
+    assert all(abs(got[k].purity - p) < 1e-9 for k, (_, p) in want.items())
+    assert {r.rejected for (_, x), r in got.items() if "/spam/" in x} == {True} and len({r.template for r in got.values()}) < 12
+
+
 def test_judging_odd_pages(spark):
     rows = [(1, "http://a.com/x/1"), (1, "http://a.com/x/1"), (2, None), (None, "http://a.com/x/2"), (3, "nothing"), (4, ""), (5, "http://a.com/" + "s/" * 5000), (6, "http://a.net/de/9")]
     pages = spark.createDataFrame(rows, "page_id long, url string").withColumns({c: F.lit("own") for c in ("template", "purity", "rejected", "labelled", "html")})
