@@ -5,8 +5,8 @@ phone numbers, and names after a form of address. Each gets a surrogate that a s
 decide, of the same type: a phone number keeps its punctuation, its country code and its count of digits, a card number its first digit
 and a right check digit, an address valid octets, a key its prefix and alphabet, a name its form of address, the gender that tells and its script.
 
-Coreference: all mentions with one normal form (digits of numbers, lower case of addresses) get one surrogate, in every document. Distinctness:
-over all entities of the table, no two normal forms share a surrogate and no surrogate is itself an entity of the table; who loses such a clash tries its next surrogate.
+Coreference: all mentions with one normal form (digits of numbers, of phone numbers with where the country code ends, lower case of addresses) get one surrogate, in every document. Distinctness:
+over all entities of the table, no two normal forms are written alike and none is written as an entity of the table; who loses such a clash tries its next surrogate.
 Only entities are shuffled for that; texts are rewritten where they are read. Documents are joined with attempts only for the entities that lost one.
 
 Edge cases: a null text stays null, an empty one empty; a text of any length is scanned by linear patterns; repeated rows come out alike; an empty table gives an
@@ -66,15 +66,22 @@ def _value(e: Column) -> Column:
 
 
 def normal(e: Column, kind: Column) -> Column:
-    """The form in which mentions of one entity are equal. A name's begins with the gender its form of address tells."""
+    """The form in which mentions of one entity are equal. A name's begins with the gender its form of address tells, a phone number's with its country code; a colon ends either."""
     gender = F.when(e.rlike(f"^(?:{'|'.join(MALE)})\\b"), "m").when(e.rlike(f"^(?:{'|'.join(FEMALE)})\\b"), "f").otherwise("o")
+    digits = lambda c: F.regexp_replace(c, "[^0-9]", "")
+    code = digits(F.regexp_extract(e, r"^\+([0-9]{1,3})[ .-]", 0))
     return (
-        F.when(kind == "email", F.lower(e)).when(kind.isin("phone", "card", "ssn"), F.regexp_replace(e, "[^0-9]", ""))
+        F.when(kind == "email", F.lower(e)).when(kind == "phone", F.concat(code, F.lit(":"), F.substring(digits(e), F.length(code) + 1, F.length(e)))).when(kind.isin("card", "ssn"), digits(e))
         .when(kind == "iban", F.replace(e, F.lit(" "), F.lit(""))).when(kind == "name", F.concat(gender, F.lit(":"), _value(e)))
         .when(kind == "secret", _value(e)).otherwise(e)
     )
 
 
+def shown(kind: Column, norm: Column) -> Column:
+    """What a text shows of a normal form, whatever the form of address: clashes are told by this."""
+    return F.when(kind == "phone", F.replace(norm, F.lit(":"), F.lit(""))).when(kind == "name", F.substring(norm, F.lit(3), F.length(norm))).otherwise(norm)
+
+
 def _pick(choices: str | tuple, seed: Column, i: Column) -> Column:
     at = F.pmod(F.xxhash64(seed, i), F.lit(len(choices))).cast("int")
     return F.substring(F.lit(choices), at + 1, F.lit(1)) if isinstance(choices, str) else F.get(F.array(*map(F.lit, choices)), at)
@@ -134,23 +141,21 @@ def surrogate(kind: Column, norm: Column, attempt: Column, key: str) -> Column:
     return (
         F.when(kind == "email", email).when(kind == "ip", octets).when(kind == "card", _checked(_alike(norm, seed, 1)))
         .when(kind == "key", _alike(norm, seed, 4)).when(kind == "iban", _alike(norm, seed, 2)).when(kind == "name", _name(norm, seed, attempt))
+        .when(kind == "phone", _alike(norm, seed, F.instr(norm, ":")))
         .otherwise(_alike(norm, seed))
     )
 
 
 def rendered(e: Column, kind: Column, new: Column) -> Column:
-    """A mention e with the surrogate new in the mention's own format."""
-    code = F.length(F.regexp_replace(F.regexp_extract(e, r"^\+([0-9]{1,3})[ .-]", 0), "[^0-9]", ""))
-
+    """A mention e with the surrogate new, as it is shown, in the mention's own format."""
     def place(c: Column, i: Column) -> Column:
         k = F.length(F.regexp_replace(F.substring(e, F.lit(1), i + 1), "[^0-9A-Z]", ""))
-        return F.when(c.rlike("[0-9A-Z]") & ((kind != "phone") | (k > code)), F.substring(new, k, F.lit(1))).otherwise(c)
+        return F.when(c.rlike("[0-9A-Z]"), F.substring(new, k, F.lit(1))).otherwise(c)
 
     filled = F.array_join(F.transform(F.split(e, ""), place), "")
     front = F.substring(e, F.lit(1), F.length(e) - F.length(_value(e)))
     return (
-        F.when(kind.isin("phone", "card", "ssn", "iban"), filled).when(kind == "secret", F.concat(front, new))
-        .when(kind == "name", F.concat(front, F.substring(new, F.lit(3), F.length(new)))).otherwise(new)
+        F.when(kind.isin("phone", "card", "ssn", "iban"), filled).when(kind.isin("secret", "name"), F.concat(front, new)).otherwise(new)
     )
 
 
@@ -161,8 +166,8 @@ def attempts(docs: DataFrame, key: str, text: str = "text") -> DataFrame | None:
     known = cut(found.select("kind", normal(e, kind).alias("norm")).distinct())
     trying, done = known.withColumn("attempt", F.lit(0)), None
     while True:
-        tried = cut(trying.withColumn("new", surrogate(kind, F.col("norm"), F.col("attempt"), key)))
-        real = known.select("kind", F.col("norm").alias("new"))
+        tried = cut(trying.withColumn("new", let(surrogate(kind, F.col("norm"), F.col("attempt"), key), lambda new: shown(kind, new))))
+        real = known.select("kind", shown(kind, F.col("norm")).alias("new"))
         taken = real if done is None else real.unionByName(done.select("kind", "new"))
         free = tried.join(taken, ["kind", "new"], "left_anti")
         won = free.groupBy("kind", "new").agg(F.min("norm").alias("norm"))
@@ -191,7 +196,7 @@ def with_surrogates(docs: DataFrame, key: str = "change-me", text: str = "text")
 
     def new(x: Column) -> Column:
         attempt = F.coalesce(F.get(F.map_values(F.map_filter(F.col("__again"), lambda k, v: k == F.concat(x["k"], F.lit(":"), x["n"]))), F.lit(0)), F.lit(0))
-        return rendered(x["e"], x["k"], surrogate(x["k"], x["n"], attempt, key))
+        return let(let(surrogate(x["k"], x["n"], attempt, key), lambda n: shown(x["k"], n)), lambda n: rendered(x["e"], x["k"], n))
 
     between = F.split(F.col(text), ANY, -1)
     pieces = F.zip_with(between, F.transform("__found", new), lambda a, b: F.concat(a, F.coalesce(b, F.lit(""))))

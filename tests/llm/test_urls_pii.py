@@ -169,6 +169,26 @@ def test_forced_clashes(spark, monkeypatch):
     assert len(set(first)) == 20 and first[1:] == second[:-1]
 
 
+def test_clashes_are_told_by_what_is_written(spark, monkeypatch):
+    """Phones whose surrogates differ in the kept country code alone, and one name for every form of address, are clashes."""
+    real = pii._pick
+
+    def narrow(choices, seed, i):
+        if choices == "0123456789":  # all digits after the first are one digit
+            return real(choices, seed, F.when(F.lit(i) > 0, F.lit(1)).otherwise(F.lit(i)))
+        return F.lit("ba") if choices in pii.SYLLABLES.values() else real(choices, seed, i)
+
+    monkeypatch.setattr(pii, "_pick", narrow)
+    phones = [f"+{1 + i % 3} 424 555 {6450 + i}" for i in range(12)] + ["+1 222 222 2222"]
+    names = ["Mr Smith", "Dr Jones", "Frau Weber", "Prof Bababa"]
+    df = spark.createDataFrame([(i, f"to {x}.") for i, x in enumerate(phones + names)], "doc_id long, text string")
+    got = [r.text[3:-1] for r in pii.with_surrogates(df).orderBy("doc_id").collect()]
+    assert [x[:3] for x in got[:13]] == [x[:3] for x in phones]
+    assert len(set(got[:13])) == 13 and not set(got[:13]) & set(phones)
+    values = [x.split(" ")[1] for x in got[13:]]
+    assert len(set(values)) == 4 and not set(values) & {"Smith", "Jones", "Weber", "Bababa"}
+
+
 def test_surrogates_on_odd_rows(odd_docs, no_docs):
     got = pii.with_surrogates(odd_docs)
     assert got.count() == odd_docs.count() and pii.with_surrogates(no_docs).count() == 0 and set(odd_docs.columns) <= set(got.columns)
