@@ -1,16 +1,19 @@
 """Word-shingle sets of texts as 64-bit hashes, computed over whole Arrow batches of bytes with NumPy.
 
 A-Z are lower-cased; words are runs of bytes other than ASCII white space; a shingle is five words in a row, or the whole sequence of a text with
-fewer words. A word's hash is a polynomial in random 64-bit values of its bytes, a shingle's one in its words' hashes, both scrambled; all arithmetic is modulo 2**64.
+fewer words. A word's hash chains its bytes, eight at a time, through a bijection of 64-bit numbers (words above LONG bytes: a cryptographic digest), so that no pattern of
+letters makes words collide but by chance; a shingle's is a polynomial in its words' hashes, scrambled.
 """
 
 from __future__ import annotations
 
+import hashlib
+
 import numpy as np
 
-_RNG = np.random.Generator(np.random.PCG64(20))
-BYTE = _RNG.integers(0, 2**63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-BYTE[65:91] = BYTE[97:123]  # A-Z as a-z
+LOWER = np.arange(256, dtype=np.uint8)
+LOWER[65:91] += 32  # A-Z as a-z
+LONG = 64
 SPACE = np.zeros(256, bool)
 SPACE[[0x20, *range(0x09, 0x0E)]] = True
 STEP = np.uint64(0x9E3779B97F4A7C15)
@@ -27,27 +30,31 @@ def scramble(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(33))
 
 
-def _powers(base: int, n: int) -> np.ndarray:
-    out = np.empty(max(n, 1), np.uint64)
-    out[0], have = 1, 1
-    while have < n:
-        more = min(have, n - have)
-        out[have : have + more] = out[:more] * np.uint64(pow(base, have, 2**64))
-        have += more
-    return out[:n]
-
-
 CHUNK = 1 << 22
+_KEPT = np.array([(1 << 8 * k) - 1 for k in range(8)] + [2**64 - 1], np.uint64)
+
 
+def lanes(data: np.ndarray) -> np.ndarray:
+    """At each place of a byte string the eight bytes from there on as one number, zeros standing past the end."""
+    return np.ndarray((len(data),), "<u8", np.concatenate([data, np.zeros(8, np.uint8)]).tobytes(), strides=(1,))
 
-class Powers:
-    up, down = _powers(int(STEP), 1 << 12), _powers(pow(int(STEP), -1, 2**64), 1 << 12)
 
-    @classmethod
-    def of(cls, n: int) -> tuple[np.ndarray, np.ndarray]:
-        if len(cls.up) < n:
-            cls.up, cls.down = _powers(int(STEP), n), _powers(pow(int(STEP), -1, 2**64), n)
-        return cls.up[:n], cls.down[:n]
+def stretch_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """64-bit hashes of stretches of a byte string."""
+    size = ends - starts
+    h = scramble(size.astype(np.uint64) * STEP + np.uint64(1))
+    eight = lanes(data)
+    own, at, left = np.flatnonzero(size <= LONG), starts, size
+    if len(own) < len(size):
+        raw = data.tobytes()
+        for i in np.flatnonzero(size > LONG).tolist():
+            h[i] = int.from_bytes(hashlib.blake2b(raw[starts[i] : ends[i]], digest_size=8).digest(), "little")
+        at, left = at[own], left[own]
+    while len(own):
+        h[own] = scramble(h[own] * STEP + (eight[at] & _KEPT[np.minimum(left, 8)]))
+        more = np.flatnonzero(left > 8)
+        own, at, left = own[more], at[more] + 8, left[more] - 8
+    return h
 
 
 def word_hashes(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -55,12 +62,7 @@ def word_hashes(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     white = SPACE[data]
     edge = np.diff(np.concatenate([[1], white.view(np.int8), [1]]))
     starts, ends = np.flatnonzero(edge == -1), np.flatnonzero(edge == 1)
-    if not len(starts):
-        return starts, np.zeros(0, np.uint64)
-    up, down = Powers.of(len(data) + 1)
-    total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(BYTE[data] * up[: len(data)], dtype=np.uint64)])
-    h = (total[ends] - total[starts]) * down[starts]
-    return starts, scramble(h + (ends - starts).astype(np.uint64))
+    return starts, stretch_hashes(LOWER[data], starts, ends) if len(starts) else np.zeros(0, np.uint64)
 
 
 def shingles(words: np.ndarray) -> np.ndarray:

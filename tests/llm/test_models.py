@@ -2,12 +2,14 @@ import math
 import random
 import zlib
 from collections import Counter
+from itertools import product
 
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 import brute
+import brute_mixing
 from graphslices.llm import components, context_mixing as mix, hamming_join as ham, learned_partitions as ann, shingles as sh
 
 
@@ -155,8 +157,7 @@ def zipf_docs(rng, n):
     return docs
 
 
-@pytest.mark.parametrize("size", [1 << 20, 20])
-def test_base_score_is_exact_and_context_helps(spark, size):
+def test_base_score_is_exact_and_context_helps(spark):
     docs = zipf_docs(random.Random(5), 900) + [(5000, None), (5001, ""), (5002, "NeverSeen word ☃")]
     df = spark.createDataFrame(docs, "doc_id long, text string")
     c = Counter()
@@ -166,28 +167,63 @@ def test_base_score_is_exact_and_context_helps(spark, size):
         if not held[i]:
             c.update(w)
     n, v = sum(c.values()), len(c)
-    rows = mix.score(df, mix.MixingModel(vocabulary=size)).collect()
+    rows = mix.score(df).collect()
     assert len(rows) == len(docs)
     base = own = 0
+    text = dict(docs)
     for r in rows:
         w = tokens[r.doc_id]
         want = sum(math.log10((c[x] + 1) / (n + v + 1)) for x in w)
         assert abs(r.base_score - want) < 1e-6 and (r.held_out, r.n_tokens, r.n_known, r.train_tokens) == (held[r.doc_id], len(w), sum(x in c for x in w), n)
-        assert math.isfinite(r.score) and r.score < 0
+        assert math.isfinite(r.score) and r.score < 0 and r.n_bytes == len((text[r.doc_id] or "").encode())
+        assert abs(r.bits + r.score * math.log2(10)) < 1e-6 and (r.bits_per_byte is None if not r.n_bytes else abs(r.bits_per_byte * r.n_bytes - r.bits) < 1e-6)
         if r.held_out:
             base, own = base + r.base_score, own + r.score
-    if size > 1000:
-        assert own > base + 0.02 * abs(base)
-
-
-def test_bit_probabilities_sum_to_one():
-    """The symbols of one context share the whole probability."""
-    m = mix.Mixer(5, 12, 0.2)
-    rng = np.random.default_rng(1)
-    h = rng.integers(0, 50, 4000).astype(np.uint64)
-    m.run(rng.integers(0, 32, 4000), h, h * np.uint64(7), True)
-    every, one = np.arange(32), np.full(32, 3, np.uint64)
-    assert abs(np.exp(m.run(every, one, one * np.uint64(7), False)).sum() - 1) < 1e-6
+    assert own > base + 0.1 * abs(base)
+
+
+def copied_docs(rng, n):
+    words = [f"w{i}" for i in range(30)] + ["ünï", "x" * 70]
+    plain = [" ".join(rng.choice(words) for _ in range(rng.randint(0, 40))) for _ in range(n)]
+    plain += [rng.choice(plain) + rng.choice(["", " tail", f" rare{i} End"]) for i in range(n)]
+    return [(i, t) for i, t in enumerate(plain)]
+
+
+@pytest.mark.parametrize("anchor", [1, 4])
+def test_scores_equal_a_plain_mixer(spark, anchor):
+    docs = copied_docs(random.Random(anchor), 40)
+    p = mix.MixingModel(kind="f8", anchor=anchor, first=8, longest=16, table_bits=11, share=9, levels=5, batch=7)
+    want = brute_mixing.scores(docs, p)
+    for parts in (1, 5):  # however the rows are dealt
+        got = {r.doc_id: r.score for r in mix.score(spark.createDataFrame(docs, "doc_id long, text string").repartition(parts), p).collect()}
+        assert all(abs(got[i] - want[i]) < 1e-9 * max(1, abs(want[i])) for i in want)
+
+
+def test_probabilities_of_all_texts_add_up_to_one_at_most(spark):
+    rng = random.Random(2)
+    held = [i for i in range(20_000) if zlib.crc32(str(i).encode()) % 7 == 2]
+    other = [i for i in range(2000) if zlib.crc32(str(i).encode()) % 7 != 2]
+    train = [(i, " ".join(rng.choice("abc") for _ in range(rng.choice([0, 1, 2, 3, 5, 6])))) for i in other[:800]]
+    every = [" ".join(t) for k in range(7) for t in product("abc", repeat=k)]
+    asked = list(zip(held, every))
+    rows = {r.doc_id: r for r in mix.score(spark.createDataFrame(train + asked, "doc_id long, text string"), mix.MixingModel(anchor=2, first=2)).collect()}
+    by_length = Counter()
+    for i, t in asked:
+        assert rows[i].held_out
+        by_length[len(t.split())] += 10 ** rows[i].score
+    assert 0.75 < sum(by_length.values()) <= 1 + 1e-6
+    share = Counter(len(t.split()) for _, t in train)
+    assert all(abs(by_length[k] - share[k] / 800) < 0.08 for k in (0, 1, 2, 3))  # ends are told by what precedes them
+
+
+def test_what_is_met_twice_scores_better(spark):
+    rng = random.Random(9)
+    once = [(i, " ".join(f"k{rng.randint(0, 300)}" for _ in range(150))) for i in range(200)]
+    twice = [(1000 + i, t) for i, (_, t) in enumerate(once[:40])]
+    rows = {r.doc_id: r.score / r.n_tokens for r in mix.score(spark.createDataFrame(once + twice, "doc_id long, text string")).collect()}
+    learned = lambda i: zlib.crc32(str(i).encode()) % 7 != 2
+    double = [rows[i] for i in range(40) if learned(i) and learned(1000 + i)]
+    assert min(double) > max(v for i, v in rows.items() if 40 <= i < 200)
 
 
 def test_scoring_odd_rows(odd_docs, no_docs):
