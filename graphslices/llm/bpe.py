@@ -2,7 +2,8 @@
 
 In a byte-level BPE of this kind, a token that holds a blank after another character that is not white space does not exist: before such a blank a text can be cut,
 and likewise between a letter and a point. The stretches between the cuts are hashed all at once, over the bytes of an Arrow batch; those that a worker has met lately are looked up in its table
-of ids, the others go to the library. The ids of a text are those of its stretches in a row.
+of ids, the others go to the library. The table keeps the bytes of a stretch as three numbers, and a hit counts only if they are equal; longer stretches, and those whose hash another one has, are kept by their bytes. The
+ids of a text are those of its stretches in a row.
 """
 
 from __future__ import annotations
@@ -11,9 +12,11 @@ import os
 
 import numpy as np
 
+from graphslices.llm.shingles import KEPT, lanes, scramble
+
 BLOCK = 1 << 20
-STEP = 0x9E3779B97F4A7C15
-_BYTE = np.random.Generator(np.random.PCG64(11)).integers(0, 2**63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+WIDE = 24
+SLOT = np.uint64(64 - 21)
 _WHITE = np.zeros(256, bool)
 _WHITE[[*range(0x09, 0x0E), *range(0x1C, 0x21)]] = True
 _LAST = np.zeros(256, bool)  # bytes that end white space of two or three bytes
@@ -47,6 +50,20 @@ def cut_places(data: np.ndarray) -> np.ndarray:
     return np.concatenate([at[fine], points, lines])
 
 
+def stretch_keys(data: np.ndarray, starts: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of stretches of a byte string, and what they hash: length and the first WIDE bytes, as four rows of numbers."""
+    eight, keys = lanes(data), np.zeros((WIDE // 8 + 1, len(starts)), np.uint64)
+    keys[0] = size
+    h = keys[0] << np.uint64(56)  # up to seven bytes, the hash is a bijection of length and bytes
+    own, at, left = slice(None), starts, size
+    for row in keys[1:]:
+        row[own] = eight[at] & KEPT[np.minimum(left, 8)]
+        h[own] = scramble(h[own] + row[own])
+        own = np.flatnonzero(size > 8) if isinstance(own, slice) else own[left > 8]
+        at, left = at[left > 8] + 8, left[left > 8] - 8
+    return h, keys
+
+
 class Encoder:
     def __init__(self, path: str, bound: int = 1_000_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
@@ -57,28 +74,27 @@ class Encoder:
         self.begins = np.zeros(max(vocabulary.values()) + 1, bool)
         for piece, i in vocabulary.items():
             self.begins[i] = piece[:1] == "Ġ"  # stands for a blank in byte-level vocabularies
-        k = np.arange(BLOCK + 1)
-        self.up, self.down = (self._powers(b, len(k)) for b in (STEP, pow(STEP, -1, 2**64)))
         self._forget()
 
-    @staticmethod
-    def _powers(base: int, n: int) -> np.ndarray:
-        out = np.ones(n, np.uint64)
-        have = 1
-        while have < n:
-            more = min(have, n - have)
-            out[have : have + more] = out[:more] * np.uint64(pow(base, have, 2**64))
-            have += more
-        return out
-
     def _forget(self) -> None:
         self.hashes, self.at, self.size = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int32)
+        self.bytes = np.zeros((4, 0), np.uint64)
+        self.apart: dict[bytes, tuple[int, int]] = {}
         self.pool, self.used = np.zeros(1 << 20, np.uint32), 0
+        self.slots = np.zeros(1 << 64 - int(SLOT), np.int32)
+
+    def _keep(self, ids: np.ndarray) -> int:
+        """Puts ids into the pool; their place."""
+        if self.used + len(ids) > len(self.pool):
+            self.pool = np.concatenate([self.pool[: self.used], np.zeros(max(len(self.pool), len(ids)), np.uint32)])
+        self.pool[self.used : self.used + len(ids)] = ids
+        self.used += len(ids)
+        return self.used - len(ids)
 
     def _direct(self, texts: list[str]) -> list[np.ndarray]:
         return [np.array(x.ids, np.uint32) for x in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)] if texts else []
 
-    def _learn(self, hashes: np.ndarray, texts: list[bytes]) -> None:
+    def _learn(self, hashes: np.ndarray, keys: np.ndarray, texts: list[bytes]) -> None:
         """Ids of stretches not met lately. Those with a blank at the start only are encoded in a row and told apart by the tokens that begin with a blank."""
         plain = [i for i, t in enumerate(texts) if t[:1] == b" " and t.count(b" ") == 1]
         if plain:
@@ -93,15 +109,13 @@ class Encoder:
         others = self._direct([texts[i].decode() for i in rest])
         sizes = np.concatenate([np.diff(np.append(starts, len(ids))), [len(x) for x in others]]).astype(np.int32)
         new = np.concatenate([ids, *others]).astype(np.uint32)
-        if self.used + len(new) > len(self.pool):
-            self.pool = np.concatenate([self.pool[: self.used], np.zeros(max(len(self.pool), len(new)), np.uint32)])
-        self.pool[self.used : self.used + len(new)] = new
-        at = self.used + np.cumsum(sizes, dtype=np.int64) - sizes
-        self.used += len(new)
+        at = self._keep(new) + np.cumsum(sizes, dtype=np.int64) - sizes
         order = np.array(plain + rest)
         hashes = np.concatenate([self.hashes, hashes[order]])
         by = np.argsort(hashes, kind="stable")
         self.hashes, self.at, self.size = hashes[by], np.concatenate([self.at, at])[by], np.concatenate([self.size, sizes])[by]
+        self.bytes = np.concatenate([self.bytes, keys[:, order]], axis=1)[:, by]
+        self.slots[self.hashes >> SLOT] = np.arange(len(self.hashes), dtype=np.int32)
 
     def _found(self, h: np.ndarray) -> np.ndarray:
         place = np.searchsorted(self.hashes, h)
@@ -113,23 +127,50 @@ class Encoder:
         if len(data) > BLOCK:  # one stretch longer than a block
             ids = self._direct([data.tobytes().decode()])[0]
             return ids, np.array([len(ids)])
-        n = len(data)
-        total = np.zeros(n + 1, np.uint64)
-        np.cumsum(_BYTE[data] * self.up[:n], out=total[1:])
-        h = (total[ends] - total[starts]) * self.down[starts]
-        h = (h ^ (h >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9) + (ends - starts).astype(np.uint64)
-        words, first, which = np.unique(h, return_index=True, return_inverse=True)
-        if len(self.hashes) + len(words) > self.bound:
+        if len(self.hashes) + len(self.apart) > self.bound:
             self._forget()
-        missing = np.flatnonzero(self.hashes[self._found(words)] != words) if len(self.hashes) else np.arange(len(words))
-        if len(missing):
-            raw = data.tobytes()
-            self._learn(words[missing], [raw[a:b] for a, b in zip(starts[first[missing]].tolist(), ends[first[missing]].tolist(), strict=True)])
-        place = self._found(words)
-        at, size = self.at[place][which], self.size[place][which].astype(np.int64)
+        long = ends - starts
+        h, keys = stretch_keys(data, starts, long)
+        at, size, hit = np.zeros(len(h), np.int64), np.zeros(len(h), np.int64), np.zeros(len(h), bool)
+        if len(self.hashes):  # the entry that a few bits of the hash lead to, for most
+            e = self.slots[h >> SLOT]
+            hit = (self.hashes[e] == h) & self._same(keys, e)
+            at, size = self.at[e], self.size[e].astype(np.int64)
+        left = np.flatnonzero(~hit)
+        if len(left):
+            at[left], size[left] = self._slowly(data, starts[left], ends[left], h[left], keys[:, left])
         before = np.cumsum(size) - size
         return self.pool[np.repeat(at - before, size) + np.arange(int(size.sum()))], size
 
+    def _same(self, keys: np.ndarray, e: np.ndarray, of: np.ndarray | None = None) -> np.ndarray:
+        """Whether the bytes of stretches are those of the entries e, given equal hashes. Below eight bytes, equal hashes and lengths leave no doubt."""
+        of = self.bytes if of is None else of
+        same = of[0][e] == keys[0]
+        wide = np.flatnonzero(keys[0] > 7)
+        same[wide] &= (of[1:, e[wide]] == keys[1:, wide]).all(axis=0) & (keys[0, wide] <= WIDE)
+        return same
+
+    def _slowly(self, data: np.ndarray, starts: np.ndarray, ends: np.ndarray, h: np.ndarray, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Places and sizes of stretches' ids in the pool, where new ones are put."""
+        words, first, which = np.unique(h, return_index=True, return_inverse=True)
+        raw, mine = data.tobytes(), keys[:, first]
+        missing = np.flatnonzero((mine[0] <= WIDE) & (self.hashes[self._found(words)] != words if len(self.hashes) else True))
+        if len(missing):
+            self._learn(words[missing], mine[:, missing], [raw[a:b] for a, b in zip(starts[first[missing]].tolist(), ends[first[missing]].tolist(), strict=True)])
+        at, size, fine = np.zeros(len(h), np.int64), np.zeros(len(h), np.int64), np.zeros(len(h), bool)
+        if len(self.hashes):
+            place = self._found(words)
+            fine = ((self.hashes[place] == words) & self._same(mine, place))[which] & self._same(keys, which, mine)
+            at, size = self.at[place][which], self.size[place][which].astype(np.int64)
+        other = np.flatnonzero(~fine)
+        if len(other):
+            texts = [raw[a:b] for a, b in zip(starts[other].tolist(), ends[other].tolist(), strict=True)]
+            new = [t for t in dict.fromkeys(texts) if t not in self.apart]
+            for t, ids in zip(new, self._direct([t.decode() for t in new]), strict=True):
+                self.apart[t] = self._keep(ids), len(ids)
+            at[other], size[other] = np.array([self.apart[t] for t in texts]).T
+        return at, size
+
     def encode_arrow(self, column) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts of an Arrow string array in a row, and the place where each text's begin (with the end last). Nulls have none."""
         import pyarrow as pa

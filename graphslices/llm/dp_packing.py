@@ -50,7 +50,7 @@ def cuts(places: np.ndarray, costs: np.ndarray, p: PackingCosts) -> list[int]:
     k = 1
     while k < p.length:
         back = np.searchsorted(places, places - k)
-        for j in np.flatnonzero((places >= k) & (places[back] == places - k)).tolist() if k >= 64 else ():
+        for j in np.flatnonzero((places >= k) & (places[back] == places - k)).tolist():
             jumps.setdefault(j, []).append(int(back[j]))
         k *= 2
     best, came = [0.0] * n, [0] * n

@@ -31,7 +31,7 @@ def scramble(x: np.ndarray) -> np.ndarray:
 
 
 CHUNK = 1 << 22
-_KEPT = np.array([(1 << 8 * k) - 1 for k in range(8)] + [2**64 - 1], np.uint64)
+KEPT = np.array([(1 << 8 * k) - 1 for k in range(8)] + [2**64 - 1], np.uint64)
 
 
 def lanes(data: np.ndarray) -> np.ndarray:
@@ -51,7 +51,7 @@ def stretch_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np
             h[i] = int.from_bytes(hashlib.blake2b(raw[starts[i] : ends[i]], digest_size=8).digest(), "little")
         at, left = at[own], left[own]
     while len(own):
-        h[own] = scramble(h[own] * STEP + (eight[at] & _KEPT[np.minimum(left, 8)]))
+        h[own] = scramble(h[own] * STEP + (eight[at] & KEPT[np.minimum(left, 8)]))
         more = np.flatnonzero(left > 8)
         own, at, left = own[more], at[more] + 8, left[more] - 8
     return h

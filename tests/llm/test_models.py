@@ -73,6 +73,13 @@ def test_shingles_of_parts_equal_those_of_the_whole(monkeypatch):
     assert (sh.text_sets(pa.array([text]))[0] == whole).all() and len(whole) == len(brute.shingles(text))
 
 
+def test_words_that_polynomials_confuse():
+    for n in (64, 1024, 4096):
+        word = "".join("ab"[i.bit_count() & 1] for i in range(n))
+        other = word.translate(str.maketrans("ab", "ba"))
+        assert len({int(sh.word_hashes(np.frombuffer(w.encode(), np.uint8))[1][0]) for w in (word, other, word[:-1], word + "\x00")}) == 4
+
+
 def test_components(spark):
     rng = random.Random(3)
     links = [(rng.randint(0, 60), rng.randint(0, 60)) for _ in range(40)] + [(i, i + 1) for i in range(100, 130)] + [(200, i) for i in range(201, 230)]

@@ -33,6 +33,36 @@ def test_small_blocks_and_tables_change_nothing(path, monkeypatch):
     assert [x.tolist() for x in enc.encode_many(TEXTS)] == whole
 
 
+def letters(n):
+    """A word of two letters and its complement that polynomial hashes modulo powers of two do not tell apart."""
+    word = "".join("ab"[i.bit_count() & 1] for i in range(n))
+    return [word, word.translate(str.maketrans("ab", "ba"))]
+
+
+def test_words_that_polynomials_confuse(path):
+    from tokenizers import Tokenizer
+
+    texts = [t for n in (16, 64, 1024, 2048, 4096) for t in letters(n)] + [" ".join(letters(1024) * 2), " \x00a", " \x00a\x00", "a\x00"]
+    want = [e.ids for e in Tokenizer.from_file(path).encode_batch(texts, add_special_tokens=False)]
+    enc = bpe.Encoder(path)
+    assert [x.tolist() for x in enc.encode_many(texts)] == want == [x.tolist() for x in enc.encode_many(texts)]
+
+
+def test_stretches_of_one_hash_are_told_apart(path, monkeypatch):
+    from tokenizers import Tokenizer
+
+    monkeypatch.setattr(bpe, "scramble", lambda x: x)  # a bijection under which sums of eight bytes collide
+    texts = ["ABCDEFGHIJKLMNOP", "IJKLMNOPABCDEFGH", "0000000z1111111}", "aaaaaaa", "1111111}0000000z"]
+    keys = [bpe.stretch_keys(np.frombuffer(t.encode(), np.uint8), np.array([0]), np.array([len(t)]))[0][0] for t in texts]
+    assert len(set(keys)) == 2
+    want = [e.ids for e in Tokenizer.from_file(path).encode_batch(texts, add_special_tokens=False)]
+    for order in (1, -1):
+        enc = bpe.Encoder(path)
+        for _ in range(2):
+            assert [x.tolist() for x in enc.encode_many(texts[::order])] == want[::order]
+            assert [enc.encode_many([t])[0].tolist() for t in texts] == want
+
+
 @pytest.mark.parametrize("n", [0, 1, 511, 512, 513, 3000])
 @pytest.mark.parametrize("top", [2, 256, 60_000, 2**32 - 1])
 def test_codes_give_random_access(n, top):
@@ -68,7 +98,7 @@ def cost_of(chain, places, costs, p):
         n = int(places[b] - places[a])
         if n > p.length:
             return float("inf")
-        total += (0 if n & (n - 1) == 0 and n >= 64 or n == p.length else p.length - n) + costs[b] + p.sequence
+        total += (0 if n & (n - 1) == 0 or n == p.length else p.length - n) + costs[b] + p.sequence
     return total
 
 
@@ -76,7 +106,7 @@ def test_cuts_are_the_cheapest():
     rng = np.random.default_rng(5)
     for k in range(150):
         n, p = int(rng.integers(1, 10)), dp_packing.PackingCosts(length=128 if k % 2 else 100)
-        places = np.concatenate([[0], np.cumsum(rng.choice([16, 32, 64, 7, 25], n))])
+        places = np.concatenate([[0], np.cumsum(rng.choice([1, 2, 4, 16, 32, 64, 7, 25], n))])
         costs = rng.choice([0.0, 4.0, 24.0], n + 1)
         best = min(cost_of((0, *m, n), places, costs, p) for r in range(n) for m in combinations(range(1, n), r))
         assert abs(cost_of(dp_packing.cuts(places, costs, p), places, costs, p) - best) < 1e-9
