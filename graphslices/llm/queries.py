@@ -22,7 +22,7 @@ def op1_url_templates(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_pii_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pii_surrogates.with_surrogates(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return pii_surrogates.with_surrogates(table(spark, sf_dir, "documents").select("doc_id", "text"), pii_surrogates.surrogate_key(spark))
 
 
 def op3_learned_partitions(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,6 +1,7 @@
 import re
 
 import pytest
+import regex
 from pyspark.sql import functions as F
 
 from graphslices.llm import pii_surrogates as pii, url_templates as url
@@ -152,7 +153,7 @@ def test_clashes_are_resolved(spark):
     """All pairs of last digits of a short space: surrogates stay distinct and are no entity of the table."""
     ssn = [f"{i:03d}-{i % 7:02d}-{i:04d}" for i in range(400)]
     df = spark.createDataFrame([(i, f"ssn {s} end") for i, s in enumerate(ssn)], "doc_id long, text string")
-    seen = [r.text[4:15] for r in pii.with_surrogates(df).orderBy("doc_id").collect()]
+    seen = [r.text[4:15] for r in pii.with_surrogates(df, "key").orderBy("doc_id").collect()]
     assert len(set(seen)) == 400 and not set(seen) & set(ssn)
 
 
@@ -164,13 +165,13 @@ def test_forced_clashes(spark, monkeypatch):
 
     monkeypatch.setattr(pii, "surrogate", narrow)
     df = spark.createDataFrame([(i, f"host 1.2.3.{i} and 1.2.3.{i + 1}") for i in range(20)], "doc_id long, text string")
-    rows = pii.with_surrogates(df).orderBy("doc_id").collect()
+    rows = pii.with_surrogates(df, "key").orderBy("doc_id").collect()
     first, second = zip(*[re.fullmatch(r"host (\S+) and (\S+)", r.text).groups() for r in rows], strict=True)
     assert len(set(first)) == 20 and first[1:] == second[:-1]
 
 
 def test_clashes_are_told_by_what_is_written(spark, monkeypatch):
-    """Phones whose surrogates differ in the kept country code alone, and one name for every form of address, are clashes."""
+    """Phones whose surrogates have the same digits after the country code, and one name for all, are clashes."""
     real = pii._pick
 
     def narrow(choices, seed, i):
@@ -182,15 +183,76 @@ def test_clashes_are_told_by_what_is_written(spark, monkeypatch):
     phones = [f"+{1 + i % 3} 424 555 {6450 + i}" for i in range(12)] + ["+1 222 222 2222"]
     names = ["Mr Smith", "Dr Jones", "Frau Weber", "Prof Bababa"]
     df = spark.createDataFrame([(i, f"to {x}.") for i, x in enumerate(phones + names)], "doc_id long, text string")
-    got = [r.text[3:-1] for r in pii.with_surrogates(df).orderBy("doc_id").collect()]
+    got = [r.text[3:-1] for r in pii.with_surrogates(df, "key").orderBy("doc_id").collect()]
     assert [x[:3] for x in got[:13]] == [x[:3] for x in phones]
-    assert len(set(got[:13])) == 13 and not set(got[:13]) & set(phones)
+    digits = [x.split(" ", 1)[1] for x in got[:13]]
+    assert len(set(digits)) == 13 and not set(digits) & {x.split(" ", 1)[1] for x in phones}
     values = [x.split(" ")[1] for x in got[13:]]
     assert len(set(values)) == 4 and not set(values) & {"Smith", "Jones", "Weber", "Bababa"}
 
 
+def test_mentions_of_one_person_or_number_agree(spark):
+    text = "Dr. Smith, Mr. John Smith and John Smith met Mrs. Andrea Rossi, Dr Andrea Rossi, Frau Rossi; +1 555-123-4567, 555-123-4567, +44(555) 123-4567; DE89 3704 0044 0532 0130 00, DE89370400440532013000 end"
+    df = spark.createDataFrame([(1, text), (2, "Andreas Weber and Dr. Andrea Rossi, Prof Maria Ivanova, Г-н Иван Иванов")], "doc_id long, text string")
+    one, two = (r.text for r in pii.with_surrogates(df, "key").orderBy("doc_id").collect())
+    m = re.fullmatch(r"Dr\. (\w+), Mr\. (\w+) (\w+) and (\w+) (\w+) met Mrs\. (\w+) (\w+), Dr (\w+) (\w+), Frau (\w+); \+1 (\S+), (\S+), \+44\((\d+)\) (\S+); (.+), (\S+) end", one)
+    assert m and m[1] == m[3] == m[5] != "Smith" and m[2] == m[4] != "John" and m[6] == m[8] and m[7] == m[9] == m[10] != m[1]
+    assert m[2][-1] not in "aeiou" and m[6][-1] == "a"
+    assert m[11] == m[12] == f"{m[13]}-{m[14]}" != "555-123-4567"
+    account = m[15].replace(" ", "")
+    assert account == m[16] and account[:2] == "DE" and account != "DE89370400440532013000" and int("".join(str(int(c, 36)) for c in account[4:] + account[:4])) % 97 == 1
+    n = re.fullmatch(r"(\w+) (\w+) and Dr\. (\w+) (\w+), Prof (\w+) (\w+), Г-н ([А-Я][а-я]+) ([А-Я][а-я]+)", two)
+    assert n and (n[3], n[4]) == (m[6], m[7]) and n[5][-1] == "a"
+
+
+def mentions(text):
+    """(kind, normal form, what is shown of it) of every entity of a text, by plain code, and the text between."""
+    out, between, at = [], [], 0
+    for found in regex.finditer(pii.ANY, text):
+        e = found.group()
+        kinds = [k for k, p in pii.PATTERNS.items() if regex.fullmatch(p, e)]
+        between.append(text[at : found.start()])
+        at = found.end()
+        out.append((kinds, e))
+    return out, [*between, text[at:]]
+
+
+def test_every_mention_of_the_table_is_mapped_one_to_one(spark):
+    """All mentions of sf0.001: texts change nowhere else, and digits, addresses, names and keys are mapped one to one."""
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text")
+    extra = [(10_000 + i, t) for i, t in enumerate(["Mr. John Smith, +1 555-123-4567", "555-123-4567 Dr. Smith", "Anna Lopez and Mrs Anna Lopez", "John Lopez", "Г-жа Иванова", TEXT])]
+    docs = docs.unionByName(spark.createDataFrame(extra, "doc_id long, text string"))
+    old, new = ({r.doc_id: r.text for r in df.collect()} for df in (docs, pii.with_surrogates(docs, "key")))
+    assert set(old) == set(new)
+    there, back, total = {}, {}, 0
+    for i, text in old.items():
+        if text is None:
+            assert new[i] is None
+            continue
+        found, between = mentions(text)
+        assert bool(found) <= bool(regex.search(pii.SIGN, text))
+        shapes = ["(" + re.sub(r"\S+", lambda _: r"\S+?", e) + ")" for _, e in found]
+        pattern = "".join(re.escape(b) + s for b, s in zip(between, shapes)) + re.escape(between[-1])
+        m = re.fullmatch(pattern, new[i], re.S)
+        assert m, i
+        for (kinds, e), shown in zip(found, m.groups(), strict=True):
+            total += 1
+            if "name" in kinds:
+                pairs = list(zip([w for w in e.split() if w.rstrip(".") not in pii.MALE + pii.FEMALE + pii.OPEN], [w for w in shown.split() if w.rstrip(".") not in pii.MALE + pii.FEMALE + pii.OPEN], strict=True))
+            elif "secret" in kinds:
+                pairs = [(re.split(r"[=:]\s*[\"']?", e, maxsplit=1)[1], re.split(r"[=:]\s*[\"']?", shown, maxsplit=1)[1])]
+            elif "@" in e:
+                pairs = [(e.lower(), shown)]
+            else:
+                cut = lambda x: re.sub(r"[^0-9A-Za-z.]", "", re.sub(r"^\+[0-9]{1,3}(?=[ .(-])", "", x))
+                pairs = [(cut(e), cut(shown))]
+            for a, b in pairs:
+                assert a != b and there.setdefault(a, b) == b and back.setdefault(b, a) == a, (i, e, shown)
+    assert total > 20 and not set(there) & set(back)
+
+
 def test_surrogates_on_odd_rows(odd_docs, no_docs):
-    got = pii.with_surrogates(odd_docs)
-    assert got.count() == odd_docs.count() and pii.with_surrogates(no_docs).count() == 0 and set(odd_docs.columns) <= set(got.columns)
+    got = pii.with_surrogates(odd_docs, "key")
+    assert got.count() == odd_docs.count() and pii.with_surrogates(no_docs, "key").count() == 0 and set(odd_docs.columns) <= set(got.columns)
     by = {r.doc_id: r for r in got.collect()}
     assert by[3].text is None and by[4].text == "" and by[9].n_entities == 3 and "a.b@c" not in by[9].text and "☃ 日本語 😀" in by[9].text and len(by[11].text) == 50_000
