@@ -12,7 +12,7 @@ after the country code, given and family names.
 Only entities are shuffled for that; texts are rewritten where they are read. Documents are joined with attempts, and with genders that only another mention tells, for the entities that need them alone.
 
 Edge cases: a null text stays null, an empty one empty; a text of any length is scanned by linear patterns; ties between genders of one full name go to the female one; repeated rows come out alike; an empty table gives an
-empty table; other columns are carried through untouched, but for one named n_entities, which is replaced; names that begin with `__` are the operator's own.
+empty table; other columns are carried through untouched, but for one of the name that `count` gives, which is replaced; names that begin with `__` are the operator's own.
 """
 
 from __future__ import annotations
@@ -231,8 +231,8 @@ def surrogate_key(spark: SparkSession) -> str:
     return spark.conf.get("spark.graphslices.surrogateKey", None) or secrets.token_hex(32)
 
 
-def with_surrogates(docs: DataFrame, key: str, text: str = "text") -> DataFrame:
-    """docs with the entities of `text` replaced, and n_entities."""
+def with_surrogates(docs: DataFrame, key: str, text: str = "text", count: str | None = "n_entities") -> DataFrame:
+    """docs with the entities of `text` replaced, and their number in the column `count`, if one is named."""
     again = attempts(docs, key, text)
     known = lambda e: let(kind_of(e), lambda k: F.struct(e.alias("e"), k.alias("k"), normal(e, k).alias("n"), F.when(k == "name", told_gender(e)).alias("g")))
     found = docs.withColumn("__found", F.when(F.col(text).isNotNull(), F.transform(entities(F.col(text)), known)))
@@ -265,4 +265,4 @@ def with_surrogates(docs: DataFrame, key: str, text: str = "text") -> DataFrame:
     between = F.split(F.col(text), ANY, -1)
     pieces = F.zip_with(between, F.transform("__found", new), lambda a, b: F.concat(a, F.coalesce(b, F.lit(""))))
     rewritten = F.when(F.size("__found") > 0, F.array_join(pieces, "")).otherwise(F.col(text))
-    return found.withColumn("__new", rewritten).withColumns({"n_entities": F.coalesce(F.size("__found"), F.lit(0)).cast("long"), text: F.col("__new")}).drop("__found", "__again", "__new")
+    return found.withColumn("__new", rewritten).withColumns(({count: F.coalesce(F.size("__found"), F.lit(0)).cast("long")} if count else {}) | {text: F.col("__new")}).drop("__found", "__again", "__new")

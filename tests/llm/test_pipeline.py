@@ -49,7 +49,7 @@ def test_stages_on_odd_rows(spark, odd_docs, no_docs):
             out = stage(spark, docs, "")
             assert out.columns == docs.columns and out.count() <= docs.count()
         assert pipe.packing(spark, docs, "").count() >= (docs.count() > 0)
-    assert line_quality.clean(no_docs).count() == pii_surrogates.with_surrogates(no_docs).count() == 0
+    assert line_quality.clean(no_docs).count() == pii_surrogates.with_surrogates(no_docs, "key").count() == 0
 
 
 def test_near_duplicates_down_to_similarity_080(spark):
