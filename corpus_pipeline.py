@@ -1,7 +1,12 @@
 """A training-data pipeline over `documents`: quality rules, line dedup, near-duplicate removal, surrogates for personal data, packing.
 
 Each stage takes (spark, docs, sf_dir) and returns a DataFrame that run() writes as Parquet to the shared folder and reads again as the next stage's docs. All but the last
-return the columns of docs.
+return the columns of docs, in their order.
+
+Edge cases, stage by stage, are those of the operators: a document with a null or empty text has no words and goes with the quality rules; in the later stages, taken alone, it stays as it is, links with nothing
+and is packed as the end mark alone. A null doc_id is no place of its own in line dedup (it sorts first), links with nothing, stays, and is packed first. Texts of any length are judged, compared, scanned
+and packed whole. Ties go to the smaller doc_id; repeated rows of one doc_id and text are kept or dropped together by all stages but near-duplicates, which keeps all rows of the document it keeps. An empty
+table passes every stage as an empty table. Columns besides doc_id and text are carried through all stages but packing, whatever their names (n_chars, where it is there, is told anew); names that begin with `__` are the operators' own.
 """
 
 from __future__ import annotations
@@ -41,10 +46,12 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def surrogates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return _sized(pii_surrogates.with_surrogates(docs).select(*docs.columns))
+    """Personal data and secrets are replaced, under the session's key; no document goes."""
+    return _sized(pii_surrogates.with_surrogates(docs, pii_surrogates.surrogate_key(spark), count=None))
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of documents in sequences of at most 1024 ids."""
     return dp_packing.pack(docs, tokenizer_path())
 
 
