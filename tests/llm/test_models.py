@@ -199,7 +199,7 @@ def copied_docs(rng, n):
 @pytest.mark.parametrize("anchor", [1, 4])
 def test_scores_equal_a_plain_mixer(spark, anchor):
     docs = copied_docs(random.Random(anchor), 40)
-    p = mix.MixingModel(kind="f8", anchor=anchor, first=8, longest=16, table_bits=11, share=9, levels=5, batch=7)
+    p = mix.MixingModel(kind="f8", anchor=anchor, first=8, longest=16, table_bits=11, byte_bits=10, share=9, levels=5, batch=7)
     want = brute_mixing.scores(docs, p)
     for parts in (1, 5):  # however the rows are dealt
         got = {r.doc_id: r.score for r in mix.score(spark.createDataFrame(docs, "doc_id long, text string").repartition(parts), p).collect()}
