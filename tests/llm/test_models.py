@@ -109,7 +109,7 @@ def test_search_recall_and_scores(spark):
     centres = rng.normal(size=(12, 24))
     x = (centres[rng.integers(0, 12, 3000)] + 0.4 * rng.normal(size=(3000, 24))).astype(np.float32)
     df = vectors(spark, [(i, v.tolist(), 0) for i, v in enumerate(x)])
-    p = ann.PartitionSearch(rows_a_part=200, sample=1500, rows_block=256, query_block=32)
+    p = ann.PartitionSearch(rows_a_part=40, sample=1500, rows_block=256, query_block=32)
     by = {}
     for r in ann.search(df, F.col("vec_id") % 20 == 0, p).collect():
         by.setdefault(r.query_id, []).append(r)
@@ -122,13 +122,32 @@ def test_search_recall_and_scores(spark):
         exact[q] = -np.inf
         hit += len({r.vec_id for r in rows} & set(np.argsort(-exact)[:20].tolist()))
     assert hit / 3000 >= 0.9
+    read = [rows[0].rows_read for rows in by.values()]
+    assert np.mean(read) < 0.3 * 3000 and min(read) >= 20
+
+
+def test_search_of_noise_reads_a_minority(spark):
+    """Vectors without any structure, as in the given tables: recall of 0.9 from less than half of the rows."""
+    df = spark.read.parquet("/root/testdata/sf0.1/embeddings.parquet")
+    rows = ann.search(df, F.col("vec_id") % 20 == 0).collect()
+    x = {r.vec_id: np.array(r.embedding, float) for r in df.collect()}
+    ids, m = np.array(list(x)), np.stack(list(x.values()))
+    by = {}
+    for r in rows:
+        by.setdefault(r.query_id, []).append(r)
+    hit = 0
+    for q, found in by.items():
+        exact = m @ x[q]
+        exact[ids == q] = -np.inf
+        hit += len({r.vec_id for r in found} & set(ids[np.argsort(-exact)[:20]].tolist()))
+    assert len(by) == 100 and hit / 2000 >= 0.9 and np.mean([found[0].rows_read for found in by.values()]) < 0.5 * len(ids)
 
 
 def test_balanced_parts():
     rng = np.random.default_rng(2)
     x = rng.normal(size=(512, 8))
     part = ann.balanced_parts(x, ann.neighbour_graph(x, 8), 8)
-    assert np.bincount(part, minlength=8).max() <= 68
+    assert np.bincount(part, minlength=8).max() <= 77
     near, random_part = ann.neighbour_graph(x, 8), rng.integers(0, 8, 512)
     kept = lambda p: (p[near] == p[:, None]).mean()
     assert kept(part) > 2 * kept(random_part)
