@@ -45,10 +45,11 @@ PATTERNS = {
     "iban": r"\b[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?\b",
     "card": r"(?<![0-9.])(?:[0-9][ -]?){12,18}[0-9](?![0-9])",
     "phone": r"(?<![0-9+])(?:\+[0-9]{1,3}[ .-]?)?(?:\([0-9]{2,4}\)[ .-]?|[0-9]{2,4}[ .-])[0-9]{3,4}[ .-][0-9]{3,4}(?![0-9])",
-    "name": rf"(?<!\p{{L}})(?:{_TITLE}\.?\s{_PART}(?:\s{_PART})?|(?:{'|'.join(KNOWN_MALE + KNOWN_FEMALE)})\s{_PART})(?!\p{{L}})",
+    "name": rf"(?=\p{{Lu}})(?<!\p{{L}})(?:{_TITLE}\.?\s{_PART}(?:\s{_PART})?|(?:{'|'.join(KNOWN_MALE + KNOWN_FEMALE)})\s{_PART})(?!\p{{L}})",
 }
-# What every entity has somewhere: a digit, a sign of an address or of a named secret, letters of a digest, or two capitalised words in a row.
-SIGN = r"[0-9@=:]|[a-f]{32}|(?:\p{Lu}\p{Ll}*|Г-\p{Ll}+)\.?\s\p{Lu}\p{Ll}"
+# What every entity but a name has somewhere: a digit, a sign of an address or of a named secret, letters of a digest; and what every name has: a capital after another capitalised word.
+SIGN = r"[0-9@=:]|[a-f]{32}"
+NAME_SIGN = r"(?:\p{Lu}\p{Ll}*|Г-\p{Ll}+)\.?\s\p{Lu}\p{Ll}"
 ANY = "|".join(f"(?:{p})" for p in PATTERNS.values())
 # Syllables of names, by script, and what given names of a gender end in.
 SYLLABLES = {"latin": ("ba", "do", "fe", "gu", "hi", "ka", "lo", "me", "nu", "pi", "ra", "so", "te", "vu", "wi", "za"), "cyrillic": ("ба", "до", "ге", "жу", "ки", "ла", "мо", "не", "пу", "ри", "са", "то", "фе", "ху", "ши", "за")}
@@ -56,7 +57,9 @@ ENDINGS = {"latin": {"m": ("n", "rt", "ck", "s"), "f": ("na", "lia", "ra", "nda"
 
 
 def entities(text: Column) -> Column:
-    return F.when(text.rlike(SIGN), F.regexp_extract_all(text, F.lit(ANY), F.lit(0))).otherwise(F.array().cast("array<string>"))
+    found = lambda pattern: F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
+    # without a sign of another kind, names are all that can be found
+    return F.when(text.rlike(SIGN), found(ANY)).when(text.rlike(NAME_SIGN), found(PATTERNS["name"])).otherwise(F.array().cast("array<string>"))
 
 
 def kind_of(e: Column) -> Column:
