@@ -3,13 +3,13 @@
 Two physical forms behind one call. `kernel`: the vector is an array of n places that is broadcast each level, under a checked bound; the slices never move, and tasks send
 back C lanes a tile. `relational` and `grid`: the state is a table, for any n; a level is a join and a partial aggregation, or a join of tiles with the segments of the vector.
 
-Settled chunks, whose lanes are all final, are skipped: in the kernel form before their slots are touched, in the others by a semi-join with the unsettled ones.
+Settled chunks, whose lanes are all final, are skipped: in the kernel and grid forms by a bit a chunk, before their slots are touched, in the relational one by a semi-join with the unsettled ones.
 """
 
 from __future__ import annotations
 
 import time
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 from pyspark.sql import DataFrame
@@ -17,12 +17,15 @@ from pyspark.sql import functions as F
 
 from graphslices import product
 from graphslices.bfs.parents import recover_parents
-from graphslices.layout import Layout, grid_tiles, restore_ids, slices_to_edges
+from graphslices.layout import Layout, build_grid, restore_ids, slices_to_edges
 from graphslices.schema import INF, TRACE
 from graphslices.semiring import SEMIRINGS, Semiring
 from graphslices.session import cut
 
 
+PIECES = 8
+
+
 @dataclass(frozen=True)
 class BfsResult:
     """df: (vertex, dist, parent[, paths]); trace: a row for each level."""
@@ -38,9 +41,12 @@ def choose_physical(layout: Layout) -> str:
 
 def bfs_dense(
     layout: Layout, root: int, semiring: str | Semiring = "tropical", skip: bool = True, parents: str | None = None, tie: str = "max", max_iter: int | None = None,
-    physical: str = "auto", edges: DataFrame | None = None, col_block: int = 1 << 24, schedule: str = "dynamic", workers: int | None = None,
+    physical: str = "auto", edges: DataFrame | None = None, col_block: int = 1 << 16, schedule: str | None = None, workers: int | None = None,
 ) -> BfsResult:
-    """parents: None (only those that the semiring gives) or 'recover'. edges are needed for that, else they are unpacked from the layout."""
+    """parents: None (only those that the semiring gives) or 'recover'. edges are needed for that, else they are unpacked from the layout.
+
+    schedule: None (tiles lie as they were built), 'static' (each of `workers` tasks has as many chunks, in order) or 'dynamic' (PIECES pieces a worker, which the scheduler hands to whoever is free).
+    """
     s = SEMIRINGS[semiring] if isinstance(semiring, str) else semiring
     spark = layout.slices.sparkSession
     place = layout.positions.where(F.col("id") == root).select("pos").first()
@@ -51,7 +57,12 @@ def bfs_dense(
         k = workers or spark.sparkContext.defaultParallelism
         per = max(1, -(-layout.chunks // k))
         moved = layout.slices.repartition(k, F.floor(F.col("chunk_id") / per))
-        layout = Layout(cut(moved), layout.positions, layout.c, layout.sigma, layout.n, layout.nnz, layout.tile_width, layout.valued)
+        layout = replace(layout, slices=cut(moved))
+    elif schedule == "dynamic":
+        k = PIECES * (workers or spark.sparkContext.defaultParallelism)
+        layout = replace(layout, slices=cut(layout.slices.repartition(k, F.col("chunk_id") % k, "tile_id")))
+    elif schedule is not None:
+        raise ValueError(f"unknown schedule {schedule}")
     if physical == "kernel":
         vector, rows = _kernel(layout, place.pos, s, skip, max_iter)
     else:
@@ -85,7 +96,8 @@ def _kernel(layout: Layout, root: int, s: Semiring, skip: bool, max_iter: int |
     if s.gives_parents:
         parent[root] = ids[root]
     paths[root] = 1
-    got = layout.slices.groupBy("chunk_id").agg(F.sum(F.col("width").cast("long") * c).alias("slots")).toArrow()  # a row a chunk, under the same bound
+    got = layout.slices.groupBy("chunk_id").agg(F.sum(F.col("width").cast("long") * c).alias("slots"), F.count("*").alias("tiles")).toArrow()  # a row a chunk, under the same bound
+    tiled = bool((np.asarray(got["tiles"]) > 1).any())
     slots = np.zeros(chunks, np.int64)
     slots[np.asarray(got["chunk_id"])] = np.asarray(got["slots"])
     rows, level = [], 0
@@ -95,7 +107,9 @@ def _kernel(layout: Layout, root: int, s: Semiring, skip: bool, max_iter: int |
             break
         level += 1
         began = time.time()
-        partial = product.kernel_partials(layout, x, s, settled if skip else None).toArrow()
+        partial = product.kernel_partials(layout, x, s, settled if skip else None)
+        # a chunk of several tiles is summed where the tiles are: C lanes a chunk come back, under the bound of the vector, however many tiles a hub has
+        partial = (product.merge_lanes(partial, s, c) if tiled else partial).toArrow()
         y = np.full((chunks, c), s.zero, s.dtype)
         if partial.num_rows:
             s.np_plus.at(y, np.asarray(partial["chunk_id"]), np.asarray(partial["lanes"].combine_chunks().flatten()).reshape(-1, c))
@@ -138,7 +152,7 @@ def _relational(layout: Layout, root: int, s: Semiring, skip: bool, max_iter: in
         ids.select("pos", "id", start.cast(s.sql_type).alias("x"), F.when(first, 0).alias("dist"), F.when(first, F.col("id")).alias("parent"), F.when(first, 1.0).alias("paths"))
     )
     widths = cut(layout.slices.groupBy("chunk_id").agg(F.sum(F.col("width").cast("long") * c).alias("slots")))
-    grid = cut(grid_tiles(layout, col_block)) if physical == "grid" else None
+    grid = build_grid(layout, col_block) if physical == "grid" else None
     rows, level = [], 0
     while max_iter is None or level < max_iter:
         level += 1
@@ -149,13 +163,11 @@ def _relational(layout: Layout, root: int, s: Semiring, skip: bool, max_iter: in
         if not run or (not skip and opened.isEmpty()):
             break
         vector = state.where("x IS NOT NULL").select("pos", "x")
-        source = grid if grid is not None else layout.slices
-        if skip:
-            source = source.join(todo.select("chunk_id"), "chunk_id", "left_semi")
         if grid is not None:
-            y = product.mv_grid(source, vector, s, c, col_block)
+            y = product.mv_grid(grid, vector, s, product.chunk_bits(todo, layout.chunks) if skip else None)
         else:
-            y = product.mv_slices(Layout(source, ids, c, layout.sigma, layout.n, layout.nnz, layout.tile_width), vector, s)
+            source = layout.slices.join(todo.select("chunk_id"), "chunk_id", "left_semi") if skip else layout.slices
+            y = product.mv_slices(replace(layout, slices=source, valued=False), vector, s)
         new = F.col("y").isNotNull() & F.col("dist").isNull()
         nxt = {
             "tropical": F.coalesce(F.least("x", "y"), "x", "y"), "boolean": F.when(new, F.lit(1)), "real": F.when(new, F.col("y")),

@@ -1,6 +1,7 @@
 """Baselines: traversals by queues, bags, direction inversion, sparse vectors, CSR and dense products, over plain edges.
 
-A level is one job; frontiers are cut by a reliable checkpoint, and visited vertices are the union of the levels so far.
+A level is one job, and frontiers are cut by a reliable checkpoint. Edges go both ways here, so a neighbour of a level lies in it, in the one before or in the next: what is compared with are two levels, however deep the graph is.
+With symmetric=False all levels so far are, merged into one table every MERGED levels.
 """
 
 from __future__ import annotations
@@ -15,6 +16,9 @@ from graphslices.semiring import BOOLEAN, SEMIRINGS
 from graphslices.session import cut
 
 
+MERGED = 16
+
+
 def _start(edges: DataFrame, root: int) -> DataFrame:
     return edges.sparkSession.createDataFrame([(root, 0)], "vertex long, dist int")
 
@@ -28,12 +32,17 @@ def _finish(edges: DataFrame, levels: list[DataFrame], vertices: DataFrame | Non
     return ids.join(found, "vertex", "left").select("vertex", "dist")
 
 
-def _levels(edges: DataFrame, root: int, step, vertices: DataFrame | None, max_iter: int | None) -> DataFrame:
-    """step(frontier, visited, level) gives the next frontier (vertex)."""
-    levels, k = [cut(_start(edges, root))], 0
+def _levels(edges: DataFrame, root: int, step, vertices: DataFrame | None, max_iter: int | None, symmetric: bool = True, whole: bool = False) -> DataFrame:
+    """step(frontier, visited, level) gives the next frontier (vertex). whole: the step needs all visited vertices."""
+    levels, merged, k = [cut(_start(edges, root))], [], 0
     while max_iter is None or k < max_iter:
         k += 1
-        visited = reduce(DataFrame.unionByName, levels)
+        if symmetric and not whole:
+            visited = reduce(DataFrame.unionByName, levels[-2:])
+        else:
+            if len(levels) - len(merged) * MERGED > MERGED:
+                merged.append(cut(reduce(DataFrame.unionByName, levels[len(merged) * MERGED : (len(merged) + 1) * MERGED])))
+            visited = reduce(DataFrame.unionByName, merged + levels[len(merged) * MERGED :])
         nxt = cut(step(levels[-1].select("vertex"), visited, k).select("vertex", F.lit(k).alias("dist")))
         if nxt.isEmpty():
             break
@@ -45,7 +54,7 @@ def _neighbours(edges: DataFrame, frontier: DataFrame) -> DataFrame:
     return edges.join(frontier.withColumnRenamed("vertex", "src"), "src").select(F.col("dst").alias("vertex"))
 
 
-def bfs_queue(edges: DataFrame, root: int, precheck: bool = True, vertices: DataFrame | None = None, max_iter: int | None = None) -> DataFrame:
+def bfs_queue(edges: DataFrame, root: int, precheck: bool = True, vertices: DataFrame | None = None, max_iter: int | None = None, symmetric: bool = True) -> DataFrame:
     """The queue: neighbours of the frontier that have not been visited. precheck tests that before neighbours are gathered by target (the tuned form), else afterwards."""
 
     def step(frontier: DataFrame, visited: DataFrame, k: int) -> DataFrame:
@@ -53,23 +62,22 @@ def bfs_queue(edges: DataFrame, root: int, precheck: bool = True, vertices: Data
         seen = visited.select("vertex")
         return near.join(seen, "vertex", "left_anti").distinct() if precheck else near.distinct().join(seen, "vertex", "left_anti")
 
-    return _levels(edges, root, step, vertices, max_iter)
+    return _levels(edges, root, step, vertices, max_iter, symmetric)
 
 
 def bfs_bag(edges: DataFrame, root: int, bags: int = 8, vertices: DataFrame | None = None) -> DataFrame:
-    """The frontier is a multiset in bags; repetitions inside a level stay until they are put among the visited."""
-    levels, raw, k = [cut(_start(edges, root))], None, 0
-    frontier = levels[0].select("vertex", F.lit(0).alias("bag"))
+    """The frontier is a multiset in bags. A bag takes a vertex once, but does not ask the other bags: who enters two of them is expanded twice, and becomes one when it is put among the visited."""
+    levels, k = [cut(_start(edges, root))], 0
+    bag = levels[0].select("vertex")
     while True:
         k += 1
-        visited = reduce(DataFrame.unionByName, levels).select("vertex")
-        raw = _neighbours(edges, frontier.select("vertex")).join(visited, "vertex", "left_anti")
-        # a bag is left when a vertex enters it first
-        bag = cut(raw.withColumn("bag", F.pmod(F.xxhash64("vertex"), F.lit(bags)).cast("int")).dropDuplicates(["bag", "vertex"]))
-        if bag.isEmpty():
+        near = edges.join(bag.withColumnRenamed("vertex", "src"), "src").select(F.col("dst").alias("vertex"), F.pmod(F.xxhash64("src"), F.lit(bags)).cast("int").alias("bag"))
+        seen = reduce(DataFrame.unionByName, levels[-2:]).select("vertex")
+        full = cut(near.join(seen, "vertex", "left_anti").dropDuplicates(["bag", "vertex"]))
+        if full.isEmpty():
             return _finish(edges, levels, vertices)
-        levels.append(bag.select("vertex", F.lit(k).alias("dist")))
-        frontier = bag
+        levels.append(cut(full.select("vertex").distinct().select("vertex", F.lit(k).alias("dist"))))
+        bag = full.select("vertex")
 
 
 def bfs_direction(edges: DataFrame, root: int, alpha: float = 14.0, beta: float = 24.0, vertices: DataFrame | None = None) -> DataFrame:
@@ -94,7 +102,7 @@ def bfs_direction(edges: DataFrame, root: int, alpha: float = 14.0, beta: float
             return back.join(frontier.withColumnRenamed("vertex", "src"), "src", "left_semi").select(F.col("dst").alias("vertex")).distinct()
         return _neighbours(edges, frontier).join(visited.select("vertex"), "vertex", "left_anti").distinct()
 
-    return _levels(edges, root, step, vertices, None)
+    return _levels(edges, root, step, vertices, None, whole=True)
 
 
 def sort_dedupe(df: DataFrame) -> DataFrame:
@@ -104,15 +112,18 @@ def sort_dedupe(df: DataFrame) -> DataFrame:
     return placed.withColumn("before", before).where(F.col("before").isNull() | (F.col("before") != F.col("vertex"))).select("vertex")
 
 
-def radix_dedupe(df: DataFrame, bits: int = 16, key_bits: int = 32) -> DataFrame:
-    """Distinct vertices by passes over digits of the key, the lowest first; each pass deals by one digit and orders inside, the last compares equal keys."""
-    passes = max(1, -(-key_bits // bits))
-    out = df
-    for p in range(passes):
-        digit = F.shiftright("vertex", p * bits).bitwiseAND(F.lit((1 << bits) - 1))
-        out = out.withColumn("digit", digit).repartition("digit").sortWithinPartitions("digit", "vertex")
-    before = F.lag("vertex").over(Window.partitionBy("digit").orderBy("vertex"))
-    return out.withColumn("before", before).where(F.col("before").isNull() | (F.col("before") != F.col("vertex"))).select("vertex")
+def radix_dedupe(df: DataFrame, bits: int = 8) -> DataFrame:
+    """Distinct vertices by a radix sort, the lowest digit first: a pass counts the digits, adds up the counts before each and puts a row behind those of its digit that stood before it. Then equal neighbours are one."""
+    top = df.agg(F.coalesce(F.max("vertex"), F.lit(0))).first()[0]
+    out = df.select("vertex", F.monotonically_increasing_id().alias("pos"))
+    for p in range(max(1, -(-int(top).bit_length() // bits))):
+        placed = out.withColumn("digit", F.shiftright("vertex", p * bits).bitwiseAND(F.lit((1 << bits) - 1)))
+        counts = placed.groupBy("digit").agg(F.count("*").alias("k"))  # a row a digit
+        before = F.coalesce(F.sum("k").over(Window.orderBy("digit").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+        own = F.row_number().over(Window.partitionBy("digit").orderBy("pos")) - 1
+        out = cut(placed.withColumn("own", own).join(F.broadcast(counts.select("digit", before.alias("base"))), "digit").select("vertex", "digit", (F.col("own") + F.col("base")).alias("pos")))
+    last = F.lag("vertex").over(Window.partitionBy("digit").orderBy("pos"))
+    return out.withColumn("before", last).where(F.col("before").isNull() | (F.col("before") != F.col("vertex"))).select("vertex")
 
 
 DEDUPE = {"sort": sort_dedupe, "radix": radix_dedupe, "hash": lambda df: df.distinct()}

@@ -28,16 +28,16 @@ PAIRS = {
     },
     "shared_lines": {
         "spark": f"""WITH l AS (SELECT DISTINCT doc_id, x FROM (SELECT doc_id, explode(split(text, '\\n')) AS x FROM {{documents}}) WHERE length(x) > 30),
-            k AS (SELECT x FROM l GROUP BY x HAVING count(*) BETWEEN 2 AND 200) SELECT 2 * doc_id AS a, 2 * {_SPARK_ID.format(x='x')} + 1 AS b FROM l JOIN k USING (x)""",
+            k AS (SELECT x FROM l GROUP BY x HAVING count(*) >= 2) SELECT 2 * doc_id AS a, 2 * {_SPARK_ID.format(x='x')} + 1 AS b FROM l JOIN k USING (x)""",
         "duck": f"""WITH l AS (SELECT DISTINCT doc_id, x FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS x FROM documents) WHERE length(x) > 30),
-            k AS (SELECT x FROM l GROUP BY x HAVING count(*) BETWEEN 2 AND 200) SELECT 2 * doc_id AS a, 2 * {_DUCK_ID.format(x='x')} + 1 AS b FROM l JOIN k USING (x)""",
+            k AS (SELECT x FROM l GROUP BY x HAVING count(*) >= 2) SELECT 2 * doc_id AS a, 2 * {_DUCK_ID.format(x='x')} + 1 AS b FROM l JOIN k USING (x)""",
     },
     "user_hour": {
         "spark": "SELECT DISTINCT 2 * user_id AS a, 2 * timestampdiff(HOUR, timestamp_ntz'1970-01-01 00:00:00', ts) + 1 AS b FROM {events}",
         "duck": "SELECT DISTINCT 2 * user_id AS a, 2 * cast(floor(epoch(ts) / 3600) AS BIGINT) + 1 AS b FROM events",
     },
 }
-GRAPHS = (*PAIRS, "kron", "er")
+GRAPHS = (*PAIRS, "knn", "kron", "er")
 
 
 def load_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -74,6 +74,10 @@ def graph(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
         return generate.kronecker_edges(spark)
     if name == "er":
         return generate.er_edges_pairs(spark)
+    if name == "knn":
+        from graphslices.relational import knn_edges
+
+        return knn_edges(spark, sf_dir)
     return normalize_edges(pairs(spark, sf_dir, name), "a", "b")
 
 
@@ -81,6 +85,10 @@ def graph_sql(name: str) -> str:
     """A graph's edges for the oracle."""
     from graphslices import generate
 
+    if name == "knn":
+        from graphslices.oracles import RELATIONAL
+
+        return RELATIONAL["knn_edges"]
     if name in ("kron", "er"):
         inner = generate.KRON_SQL if name == "kron" else generate.ER_SQL
     else:

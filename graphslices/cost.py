@@ -6,10 +6,10 @@ import math
 import time
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphslices.bfs.dense import BfsResult, bfs_dense
+from graphslices.bfs.dense import PIECES, BfsResult, bfs_dense
 from graphslices.layout import Layout, sorted_positions
 from graphslices.session import cut
 
@@ -179,25 +179,21 @@ def amortization(spark: SparkSession, t_pre: float, t_run: float, runs: list[int
 
 
 def imbalance(layout: Layout, workers: int, schedule: str = "static") -> DataFrame:
-    """(workers, schedule, imbalance): largest over mean slots of a worker. static: equal counts of chunks in order; dynamic: tiles dealt by their slots' running sum; tiled: equal counts of tiles in order."""
+    """(workers, schedule, imbalance): largest over mean slots of a worker. static: equal counts of chunks in order; tiled: equal counts of tiles in order; dynamic: PIECES pieces a worker, dealt as bfs_dense deals them, each taken in turn by the worker that is free first."""
     tiles = layout.slices.select("chunk_id", "tile_id", (F.col("width").cast("long") * layout.c).alias("slots"))
+    if schedule == "dynamic":
+        loads = [0] * workers
+        pieces = tiles.groupBy((F.col("chunk_id") % (PIECES * workers)).alias("piece")).agg(F.sum("slots").alias("slots")).orderBy("piece").collect()  # PIECES rows a worker
+        for r in pieces:
+            loads[loads.index(min(loads))] += r.slots
+        return tiles.sparkSession.createDataFrame([(workers, schedule, round(max(loads) * workers / max(1, sum(loads)), 6))], "workers int, schedule string, imbalance double")
     if schedule == "static":
         owned = tiles.withColumn("worker", F.floor(F.col("chunk_id") * workers / layout.chunks))
     else:
         from graphslices.edges import global_rank
 
-        ranked = global_rank(tiles, F.asc("chunk_id"), F.asc("tile_id"))
-        if schedule == "tiled":
-            total = tiles.count()
-            owned = ranked.withColumn("worker", F.floor(F.col("pos") * workers / total))
-        else:
-            # prefix sums in two levels, then equal shares of the sum
-            b = ranked.withColumn("b", F.floor(F.col("pos") / 65536))
-            before = Window.rowsBetween(Window.unboundedPreceding, -1)
-            base = b.groupBy("b").agg(F.sum("slots").alias("s")).withColumn("base", F.coalesce(F.sum("s").over(before.orderBy("b")), F.lit(0))).drop("s")
-            own = F.coalesce(F.sum("slots").over(before.partitionBy("b").orderBy("pos")), F.lit(0))
-            total = tiles.agg(F.greatest(F.sum("slots"), F.lit(1))).first()[0]
-            owned = b.withColumn("own", own).join(base, "b").withColumn("worker", F.floor((F.col("own") + F.col("base")) * workers / total))
+        total = tiles.count()
+        owned = global_rank(tiles, F.asc("chunk_id"), F.asc("tile_id")).withColumn("worker", F.floor(F.col("pos") * workers / total))
     load = owned.groupBy("worker").agg(F.sum("slots").alias("slots"))
     return load.agg(F.max("slots").alias("top"), F.sum("slots").alias("all")).select(
         F.lit(workers).alias("workers"), F.lit(schedule).alias("schedule"), F.round(F.col("top") * workers / F.col("all"), 6).alias("imbalance")
@@ -212,20 +208,25 @@ def recovery_overhead(layout: Layout, edges: DataFrame, root: int, semiring: str
     return _row(spark, semiring=semiring, seconds_plain=plain, seconds_recovery=more, edges_read=layout.nnz)
 
 
-def scaling(spark: SparkSession, runner: Callable[[int, int], object], workers: list[int], mode: str = "strong", size: int = 1) -> DataFrame:
-    """(mode, workers, size, seconds) of runner(workers, size): one size for all in strong scaling, size times workers in weak scaling."""
+def scaling(spark: SparkSession, prepare: Callable[[int, int], Callable[[], object]], workers: list[int], mode: str = "strong", size: int = 1, repeats: int = 3) -> DataFrame:
+    """(mode, workers, size, seconds): one size for all in strong scaling, size times workers in weak scaling. prepare(workers, size) builds what a run needs, untimed; then the run is warmed up, and the median of its repeats counts."""
     rows = []
     for w in workers:
-        k = size if mode == "strong" else size * w
-        began = time.time()
-        runner(w, k)
-        rows.append((mode, w, k, time.time() - began))
+        k, took = size if mode == "strong" else size * w, []
+        run = prepare(w, k)
+        run()
+        for _ in range(repeats):
+            began = time.time()
+            run()
+            took.append(time.time() - began)
+        rows.append((mode, w, k, sorted(took)[len(took) // 2]))
     return spark.createDataFrame(rows, "mode string, workers int, size int, seconds double")
 
 
-def bytes_avoided(layout: Layout) -> DataFrame:
-    """(col_bytes, val_bytes): what a level reads, and what it would read besides if values were kept, at eight bytes a cell."""
-    return product_slots(layout).select((F.col("slots") * 8).alias("col_bytes"), (F.col("slots") * 8).alias("val_bytes"))
+def bytes_avoided(layout: Layout, result: BfsResult) -> DataFrame:
+    """(iter, col_bytes, val_bytes, skipped_bytes): what each level reads, what it would read besides if values were kept, and what skipping leaves out of the two, at eight bytes a cell."""
+    all_ = product_slots(layout).select(F.col("slots").alias("all"))
+    return result.trace.crossJoin(F.broadcast(all_)).select("iter", (F.col("slots") * 8).alias("col_bytes"), (F.col("slots") * 8).alias("val_bytes"), ((F.col("all") - F.col("slots")) * 16).alias("skipped_bytes"))
 
 
 def edge_rate(result: BfsResult, edges: DataFrame) -> DataFrame:

@@ -7,6 +7,7 @@ slices keep no values, only neighbours' places and a marker in padded slots. A c
 from __future__ import annotations
 
 import math
+import uuid
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -15,10 +16,11 @@ from pyspark.sql import functions as F
 
 from graphslices.edges import all_degrees, global_rank
 from graphslices.schema import MARK
-from graphslices.session import cut, ship
+from graphslices.session import cut, shared_dir, ship
 
 LANES = {"avx32": 8, "knl32": 16, "gpu": 32}
 WIDE = 4096
+PLACES_BYTES = 64 << 20
 
 
 def lane_width(unit: str) -> int:
@@ -112,8 +114,9 @@ def build_slices(
     pos = cut(sorted_positions(deg, sigma).select("id", "deg", "pos"))
     kept = ["v"] if valued else []
     value = [F.col(values).cast("double").alias("v") if values else F.lit(1.0).alias("v")] if valued else []
-    entry = edges.select("src", "dst", *value).join(pos.select(F.col("id").alias("src"), F.col("pos").alias("row")), "src")
-    entry = entry.join(pos.select(F.col("id").alias("dst"), F.col("pos").alias("col")), "dst").select("row", "col", *kept)
+    sent = F.broadcast if 32 * n <= PLACES_BYTES else lambda df: df  # places under a checked bound go to the edges, which then are shuffled once
+    entry = edges.select("src", "dst", *value).join(sent(pos.select(F.col("id").alias("src"), F.col("pos").alias("row"))), "src")
+    entry = entry.join(sent(pos.select(F.col("id").alias("dst"), F.col("pos").alias("col"))), "dst").select("row", "col", *kept)
     entry = entry.withColumn("chunk_id", F.floor(F.col("row") / c))
     if n > spread:
         # A slot is a neighbour's rank in its row: inside stretches of columns, after the counts of the stretches before, so that a hub's row is not one window.
@@ -202,6 +205,28 @@ def grid_tiles(layout: Layout, col_block: int) -> DataFrame:
     )
 
 
+@dataclass(frozen=True)
+class Grid:
+    """tiles: (chunk_id, col_block, tile_id, part, lane, at), a table bucketed by (col_block, part); parts: (col_block, parts). A part holds about `cells_a_part` cells of one block, so a hub's block is no single task."""
+
+    tiles: DataFrame
+    parts: DataFrame
+    c: int
+    col_block: int
+
+
+def build_grid(layout: Layout, col_block: int = 1 << 16, cells_a_part: int = 1 << 22) -> Grid:
+    """The layout's grid tiles as a bucketed table in the shared folder: joined by its buckets, it is not shuffled again."""
+    spark = layout.slices.sparkSession
+    tiles = cut(grid_tiles(layout, col_block))
+    parts = cut(tiles.groupBy("col_block").agg(F.ceil(F.sum(F.size("at")) / cells_a_part).cast("int").alias("parts")))
+    own = F.pmod(F.xxhash64("chunk_id"), F.col("parts")).cast("int").alias("part")
+    name, buckets = f"graphslices_grid_{uuid.uuid4().hex}", int(spark.conf.get("spark.sql.shuffle.partitions"))
+    dealt = tiles.join(parts, "col_block").select("chunk_id", "col_block", "tile_id", own, "lane", "at").repartition(buckets, "col_block", "part")
+    dealt.write.bucketBy(buckets, "col_block", "part").sortBy("col_block", "part").option("path", f"{shared_dir(spark)}/{name}").saveAsTable(name)
+    return Grid(spark.table(name), parts, layout.c, col_block)
+
+
 def chunk_directory(layout: Layout) -> DataFrame:
     """(chunk_id, cl, cs): widths and starts of the chunks among all slots, by prefix sums in two levels."""
     w = layout.slices.groupBy("chunk_id").agg(F.sum("width").cast("long").alias("cl")).withColumn("b", F.floor(F.col("chunk_id") / 65536))
@@ -235,7 +260,7 @@ def slices_to_edges(layout: Layout) -> DataFrame:
 
 
 def save_layout(layout: Layout, path: str) -> None:
-    """Slices sorted by chunk, so that ranges of settled chunks are skipped by file statistics; positions; one row of parameters."""
+    """Slices sorted by chunk, so that ranges of settled chunks are skipped by file statistics; positions; one row of parameters. (A grid is stored by build_grid, bucketed by column block.)"""
     layout.slices.repartitionByRange("chunk_id").sortWithinPartitions("chunk_id", "tile_id").write.parquet(f"{path}/slices")
     layout.positions.write.parquet(f"{path}/positions")
     layout.meta().coalesce(1).write.parquet(f"{path}/layout_meta")

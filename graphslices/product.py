@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from graphslices.kernels import slice_products
-from graphslices.layout import Layout, entries
+from graphslices.layout import Grid, Layout, entries
 from graphslices.semiring import Semiring
 from graphslices.session import ship
 
@@ -103,31 +103,53 @@ def vector_segments(vector: DataFrame, col_block: int) -> DataFrame:
     return own.groupBy("col_block").agg(F.collect_list("p").alias("seg_at"), F.collect_list("x").alias("seg_x"))
 
 
-def mv_grid(grid: DataFrame, vector: DataFrame, s: Semiring, c: int, col_block: int) -> DataFrame:
-    """(row, y) over grid tiles: tiles meet only the segment of the vector in their columns, and blocks without values are not read on; what is shuffled are segments and partial lanes, never neighbours twice.
+def chunk_bits(chunks: DataFrame, n: int) -> np.ndarray:
+    """Chunks (chunk_id) as a bit for each of n, packed where they lie: the driver gets a word for each 63 of them."""
+    if 16 * (n // 63 + 1) > BROADCAST_BYTES:
+        raise ValueError(f"a bit for each of {n} chunks is not broadcast")
+    one = F.expr("shiftleft(1L, cast(chunk_id % 63 AS INT))")
+    got = chunks.groupBy(F.floor(F.col("chunk_id") / 63).alias("word")).agg(F.bit_or(one).alias("bits")).toArrow()
+    out = np.zeros((n // 63 + 1, 63), bool)
+    words, bits = np.asarray(got["word"]), np.asarray(got["bits"])
+    for k in range(63):
+        out[words, k] = bits >> k & 1
+    return np.packbits(out.ravel()[:n])
 
-    A segment holds at most col_block values, so a task's memory is bounded whatever n is.
+
+def mv_grid(grid: Grid, vector: DataFrame, s: Semiring, open_chunks: np.ndarray | None = None) -> DataFrame:
+    """(row, y) over grid tiles: tiles meet the segment of the vector in their columns by the buckets they are stored in; what is shuffled are segments, a copy for each part of a block, and partial lanes, never neighbours.
+
+    A segment holds at most col_block values and is spread out once for a part, whose cells are bounded, so a task's memory is bounded whatever n is. open_chunks: as chunk_bits, others are left out.
     """
-    spark = grid.sparkSession
+    spark, c, width = grid.tiles.sparkSession, grid.c, grid.col_block
     ship(spark)
-    met = grid.join(vector_segments(vector, col_block), "col_block").select("chunk_id", "lane", "at", "seg_at", "seg_x")
+    parts = vector_segments(vector, width).join(grid.parts, "col_block").withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    sent = None if open_chunks is None else spark.sparkContext.broadcast(open_chunks)  # bounded by BROADCAST_BYTES
+    lane_type = s.sql_type
 
-    def run(batches: Iterator) -> Iterator:
+    def run(tiles, segments):
         import pyarrow as pa
 
-        for batch in batches:
-            out_id, out = [], []
-            for r in range(len(batch)):
-                row = [batch.column(i)[r] for i in range(5)]
-                x = np.full(col_block, s.zero, dtype=s.dtype)
-                x[np.asarray(row[3].values)] = np.asarray(row[4].values)
-                lanes = np.full(c, s.zero, dtype=s.dtype)
-                s.np_plus.at(lanes, np.asarray(row[1].values), s.np_edge(x[np.asarray(row[2].values)]))
-                out_id.append(row[0].as_py())
-                out.append(lanes)
-            yield pa.RecordBatch.from_arrays([pa.array(out_id, pa.int64()), pa.array(out, pa.list_(pa.from_numpy_dtype(np.dtype(s.dtype))))], names=["chunk_id", "lanes"])
-
-    partials = met.mapInArrow(run, f"chunk_id long, lanes array<{s.sql_type}>")
+        tiles, lane = tiles.combine_chunks(), pa.from_numpy_dtype(np.dtype(s.dtype))
+        ids, keep = np.asarray(tiles["chunk_id"]), np.arange(tiles.num_rows)
+        if sent is not None:
+            keep = np.flatnonzero(sent.value[ids >> 3] >> (7 - (ids & 7)) & 1)
+        if not len(keep) or not segments.num_rows:
+            return pa.table({"chunk_id": pa.array([], pa.int64()), "lanes": pa.array([], pa.list_(lane))})
+        x = np.full(width, s.zero, s.dtype)
+        for at, value in zip(segments["seg_at"].to_pylist(), segments["seg_x"].to_pylist(), strict=True):
+            x[at] = value
+        taken = tiles.take(pa.array(keep)).combine_chunks()
+        lanes_of, at = taken["lane"].combine_chunks(), taken["at"].combine_chunks()
+        chunk, own = np.unique(ids[keep], return_inverse=True)
+        place = np.repeat(own, np.asarray(lanes_of.value_lengths())) * c + np.asarray(lanes_of.flatten())
+        out = np.full(len(chunk) * c, s.zero, s.dtype)
+        s.np_plus.at(out, place, s.np_edge(x[np.asarray(at.flatten())]))
+        some = (out.reshape(-1, c) != s.zero).any(axis=1)
+        flat = out.reshape(-1, c)[some].ravel()
+        return pa.table({"chunk_id": pa.array(chunk[some], pa.int64()), "lanes": pa.ListArray.from_arrays(pa.array(np.arange(0, len(flat) + 1, c, dtype=np.int32)), pa.array(flat, lane))})
+
+    partials = grid.tiles.groupBy("col_block", "part").cogroup(parts.select("col_block", "part", "seg_at", "seg_x").groupBy("col_block", "part")).applyInArrow(run, f"chunk_id long, lanes array<{lane_type}>")
     return lanes_to_vector(merge_lanes(partials, s, c), c).where(F.col("y") != F.lit(s.zero).cast(s.sql_type))
 
 

@@ -154,7 +154,7 @@ def mv_slices_query(kind: str) -> Callable:
         lay = L.build_slices(catalog.graph(s, d, G), 8, None, valued=kind == "valued", tile_width=64)
         x = _degree_vector(lay)
         if kind == "grid":
-            return _by_vertex(product.mv_grid(L.grid_tiles(lay, 256), x, REAL, 8, 256), lay)
+            return _by_vertex(product.mv_grid(L.build_grid(lay, 256, 1000), x, REAL), lay)
         return _by_vertex(product.mv_tiles(lay, x, REAL) if kind == "tiles" else product.mv_slices(lay, x, REAL), lay)
 
     return query

@@ -36,9 +36,19 @@ def ship(spark: SparkSession) -> None:
     sc._graphslices_shipped = True
 
 
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that driver and executors share: spark.checkpoint.dir. Only on one machine (a local master, as in tests) one is made where the session names none."""
+    sc = spark.sparkContext
+    found = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
+    if not found:
+        if not sc.master.startswith("local") or sc.master.startswith("local-cluster"):
+            raise ValueError("the session names no shared folder: set spark.checkpoint.dir")
+        found = tempfile.mkdtemp(prefix="graphslices-")
+        sc.setCheckpointDir(found)
+    return found
+
+
 def cut(df):
-    """df with its lineage cut by a reliable checkpoint. Only where the session names no folder (tests on one machine) a local one is set."""
-    sc = df.sparkSession.sparkContext
-    if not (df.sparkSession.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()):
-        sc.setCheckpointDir(tempfile.mkdtemp(prefix="graphslices-"))
+    """df with its lineage cut by a reliable checkpoint in the shared folder."""
+    shared_dir(df.sparkSession)
     return df.checkpoint()

@@ -68,7 +68,7 @@ def test_products_agree(spark, s):
     at = vec.join(lay.positions, "id").select("pos", "x")
     by_id = vec.withColumnRenamed("id", "pos")
     place = {r.pos: r.id for r in lay.positions.collect()}
-    for y in (product.mv_slices(lay, at, s), product.mv_tiles(lay, at, s), product.mv_grid(L.grid_tiles(lay, 5), at, s, 4, 5)):
+    for y in (product.mv_slices(lay, at, s), product.mv_tiles(lay, at, s), product.mv_grid(L.build_grid(lay, 5, 6), at, s)):
         assert {place[r.row]: r.y for r in y.collect() if r.row in place} == want
     csr = L.build_csr(e)
     for y in (product.mv_csr(csr, by_id, s), product.mv_csr_unrolled(csr, by_id, s, 4), product.mv_sparse(e, by_id, s)):
@@ -96,3 +96,23 @@ def test_bounds_and_amortisation(spark):
     assert cost.work_bound_er(1000, 0.5, 8, 2) > cost.work_bound_er(1000, 0.001, 8, 2)
     limits = {r.c: r.limit for r in cost.beats_adjacency_list(spark.createDataFrame([(8, 1, 10, 5), (16, 1, 10, 5), (32, 1, 10, 5)], "c int, sigma long, n long, pad_slots long")).collect()}
     assert limits == {8: 0.75, 16: 0.875, 32: 0.9375}
+
+
+def test_grid_product_moves_no_neighbours(spark):
+    """With broadcast joins off, nothing is exchanged between the tiles' scan and the product."""
+    e = spark.createDataFrame([(i, j) for i in range(40) for j in range(40) if (i * j) % 7 == 1], "src long, dst long")
+    lay = L.build_pattern_slices(e, 4, None)
+    grid = L.build_grid(lay, 8, 20)
+    assert grid.parts.where("parts > 1").count() > 0
+    old = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        y = product.mv_grid(grid, lay.positions.select("pos", F.lit(1.0).alias("x")), REAL)
+        plan = y._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", old)
+    lines = plan.split("\n")
+    scan = next(i for i, x in enumerate(lines) if "FileScan parquet" in x and "graphslices_grid" in x)
+    up = [x for x in lines[next(i for i, x in enumerate(lines) if "FlatMapCoGroupsInArrow" in x) + 1 : scan]]
+    assert up and not any("Exchange" in x for x in up), plan
+    assert y.agg(F.sum("y")).first()[0] == e.count()
