@@ -32,6 +32,10 @@ PAIRS = {
         "duck": f"""WITH l AS (SELECT DISTINCT doc_id, x FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS x FROM documents) WHERE length(x) > 30),
             k AS (SELECT x FROM l GROUP BY x HAVING count(*) >= 2) SELECT 2 * doc_id AS a, 2 * {_DUCK_ID.format(x='x')} + 1 AS b FROM l JOIN k USING (x)""",
     },
+    "purchase_hour": {
+        "spark": "SELECT DISTINCT 2 * user_id AS a, 2 * timestampdiff(HOUR, timestamp_ntz'1970-01-01 00:00:00', ts) + 1 AS b FROM {events} WHERE event_type = 'purchase'",
+        "duck": "SELECT DISTINCT 2 * user_id AS a, 2 * cast(floor(epoch(ts) / 3600) AS BIGINT) + 1 AS b FROM events WHERE event_type = 'purchase'",
+    },
     "user_hour": {
         "spark": "SELECT DISTINCT 2 * user_id AS a, 2 * timestampdiff(HOUR, timestamp_ntz'1970-01-01 00:00:00', ts) + 1 AS b FROM {events}",
         "duck": "SELECT DISTINCT 2 * user_id AS a, 2 * cast(floor(epoch(ts) / 3600) AS BIGINT) + 1 AS b FROM events",

@@ -24,6 +24,11 @@ def bfs(name: str = DEFAULT, extra: str = "") -> str:
     return f"{bfs_ctes(name)} SELECT deg.id AS vertex, bfs.dist{extra} FROM deg LEFT JOIN bfs ON bfs.vertex = deg.id"
 
 
+def bfs_from(name: str, root: str) -> str:
+    """(vertex, dist) of what a root reaches."""
+    return f"{bfs_ctes(name, root)} SELECT vertex, dist FROM bfs"
+
+
 def parents(name: str = DEFAULT, tie: str = "max", paths: bool = False) -> str:
     return f"""{bfs_ctes(name)}, up AS (SELECT e.dst AS vertex, {tie}(e.src) AS parent FROM e JOIN bfs a ON a.vertex = e.src JOIN bfs b ON b.vertex = e.dst WHERE a.dist = b.dist - 1 GROUP BY e.dst)
         SELECT deg.id AS vertex, bfs.dist, CASE WHEN bfs.dist = 0 THEN deg.id ELSE up.parent END AS parent FROM deg LEFT JOIN bfs ON bfs.vertex = deg.id LEFT JOIN up ON up.vertex = deg.id"""
@@ -132,8 +137,7 @@ RELATIONAL = {
     "url_parts": "SELECT page_id, host, string_split(host, '.')[-1] AS top, md5(url) AS digest FROM (SELECT page_id, url, lower(regexp_extract(url, '://([^/?#]*)', 1)) AS host FROM pages)",
     "hourly_vertices": "SELECT date_trunc('hour', ts) AS hour, count(DISTINCT user_id) AS users FROM events GROUP BY 1",
     "bound_math": f"SELECT id, round(log2(deg), 9) AS lg, pow(cast(deg AS DOUBLE), 2.0) AS sq, cast(ceil(deg / 8) AS BIGINT) AS chunks, deg << 2 AS four, greatest(deg, 100) AS top, deg % 8 AS rest FROM {D_SP}",
-    "lane_arrays": f"""WITH v AS (SELECT id // 16 AS g, list(deg ORDER BY deg) AS v FROM (SELECT * FROM {D_SP} ORDER BY id LIMIT 64) GROUP BY 1),
-        a AS (SELECT g, list_resize(v, 4, CASE WHEN len(v) < 4 THEN 0 END)[1:4] AS a FROM v), p AS (SELECT g, a, list_reverse(a) AS b FROM a)
+    "lane_arrays": f"""WITH v AS (SELECT id // 16 AS g, list(deg ORDER BY deg) AS v FROM {D_SP} GROUP BY 1), a AS (SELECT g, list_resize(v, 16, 0) AS a FROM v), p AS (SELECT g, a, list_reverse(a) AS b FROM a)
         SELECT g, cast(sum(least(x, y)) AS BIGINT) AS lo, cast(sum(greatest(x, y)) AS BIGINT) AS hi, cast(sum(x + y) AS BIGINT) AS add, count(*) FILTER (x = y) AS eq, cast(sum(CASE WHEN x = y THEN y ELSE x END) AS BIGINT) AS pick,
           count(*) FILTER (x = 0) AS no, count(*) FILTER (x <> 0) AS yes, any_value(a[1] + a[2]) AS load, any_value(a[1]) AS got FROM (SELECT g, a, unnest(a) AS x, unnest(b) AS y FROM p) GROUP BY g""",
     "slot_maps": "SELECT n_regionkey, cast(slot AS INTEGER) AS slot, n_nationkey AS nation FROM (SELECT *, row_number() OVER (PARTITION BY n_regionkey ORDER BY n_nationkey) - 1 AS slot FROM nation) WHERE slot % 2 = 0",
@@ -146,11 +150,14 @@ RELATIONAL = {
     "lane_merge": f"SELECT id, deg FROM {D_SP}",
     "unpack_chunk": f"WITH {_e('geo_tree')}, {positions('geo_tree', None)} SELECT pos AS row, deg AS k FROM pos",
 }
+ROOT_USER = "(SELECT min(2 * user_id) FROM events)"
 STREAMS = {
     "stream_enrich": "SELECT event_id, user_id AS src, c_nationkey FROM events JOIN customer ON c_custkey = user_id",
     "stream_dedupe": "SELECT DISTINCT user_id AS src, event_type FROM events",
     "stream_coactivity": "WITH p AS (SELECT user_id, ts FROM events WHERE event_type = 'purchase') SELECT DISTINCT x.user_id AS a, y.user_id AS b FROM p x JOIN p y ON x.user_id < y.user_id AND y.ts BETWEEN x.ts - INTERVAL 5 MINUTES AND x.ts + INTERVAL 5 MINUTES",
-    "stream_distance": "SELECT cast(20000000 AS BIGINT) AS vertex, 0 AS dist UNION ALL SELECT 10000000 + n_nationkey, 1 FROM nation WHERE n_regionkey = 0",
+    "stream_distance": bfs_from("purchase_hour", ROOT_USER),
+    "stream_degrees_session": """WITH s AS (SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER w + INTERVAL 30 MINUTES THEN 0 ELSE 1 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
+        k AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts) AS k FROM s) SELECT min(ts) AS start, max(ts) + INTERVAL 30 MINUTES AS finish, user_id AS src, count(*) AS deg FROM k GROUP BY user_id, k""",
     "stream_degrees_tumbling": "SELECT date_trunc('hour', ts) AS start, date_trunc('hour', ts) + INTERVAL 1 HOUR AS finish, user_id AS src, count(*) AS deg FROM events GROUP BY ALL",
     "stream_degrees_sliding": "SELECT start, start + INTERVAL 1 HOUR AS finish, user_id AS src, count(*) AS deg FROM (SELECT user_id, time_bucket(INTERVAL 15 MINUTES, ts) - to_minutes(15 * k) AS start FROM events, range(4) t(k)) GROUP BY ALL",
 }
@@ -162,4 +169,105 @@ def weighted_product() -> str:
         SELECT row AS vertex, round(sum(w * deg), 4) AS y FROM e JOIN {D_SP} ON id = col GROUP BY row"""
 
 
+def tiled_imbalance(name: str, c: int, tile: int, workers: int) -> str:
+    """Tiles of `tile` columns in order of (chunk, tile), equal counts a worker."""
+    return f"""WITH {_e(name)}, {positions(name, None)}, ch AS (SELECT pos // {c} AS ch, max(deg) AS w FROM pos GROUP BY 1), ti AS (SELECT ch, t, least(w - t * {tile}, {tile}) * {c} AS slots FROM ch, range(1000) r(t) WHERE t * {tile} < w),
+        k AS (SELECT slots, (row_number() OVER (ORDER BY ch, t) - 1) * {workers} // (SELECT count(*) FROM ti) AS worker FROM ti), o AS (SELECT worker, sum(slots) AS slots FROM k GROUP BY 1)
+        SELECT {workers} AS workers, 'tiled' AS schedule, round(max(slots) * {workers} / sum(slots), 6) AS imbalance FROM o"""
+
+
+def work_table(name: str, c: int, key_bits: int = 32) -> str:
+    forms = {
+        "queue": "n + m", "bag": "n + m", "direction": "d * n + d * m", "textbook_dense": "d * n * n", "csr": "d * n + d * m", "sparse_sort": "n + m * log2(greatest(m, 2))",
+        "sparse_radix": f"n + {key_bits} * m", "sparse_hash": "n + m", "slices": f"d * n + d * m + d * {c} * top",
+    }
+    size = f"{bfs_ctes(name)}, s AS (SELECT count(*) AS n, cast(sum(deg) AS BIGINT) // 2 AS m, max(deg) AS top, (SELECT max(dist) FROM bfs) AS d FROM deg)"
+    return size + " " + " UNION ALL ".join(f"SELECT '{k}' AS method, cast({v} AS DOUBLE) AS work FROM s" for k, v in forms.items())
+
+
+def pagerank(name: str, rounds: int, damping: float = 0.85) -> str:
+    steps = ["r0 AS (SELECT id, 1.0::DOUBLE / (SELECT count(*) FROM deg) AS r FROM deg)"]
+    for k in range(rounds):
+        steps.append(f"r{k + 1} AS MATERIALIZED (SELECT d.id, (1 - {damping}) / (SELECT count(*) FROM deg) + {damping} * coalesce(sum(p.r / q.deg), 0) AS r FROM deg d LEFT JOIN e ON e.dst = d.id LEFT JOIN r{k} p ON p.id = e.src LEFT JOIN deg q ON q.id = e.src GROUP BY d.id)")
+    return f"WITH {_e(name)}, {', '.join(steps)} SELECT id AS vertex, round(r, 12) AS rank FROM r{rounds}"
+
+
+def betweenness(name: str, depth: int) -> str:
+    """Dependencies of a root, from the deepest level up; depth: an upper bound of the levels."""
+    steps = [f"x{depth} AS MATERIALIZED (SELECT vertex, 0.0::DOUBLE AS delta FROM bfs WHERE dist = {depth})"]
+    for k in range(depth - 1, -1, -1):
+        steps.append(f"x{k} AS MATERIALIZED (SELECT a.vertex, coalesce(sum(a.paths / b.paths * (1 + x.delta)), 0) AS delta FROM bfs a LEFT JOIN (e JOIN bfs b ON b.vertex = e.dst AND b.dist = {k + 1} JOIN x{k + 1} x ON x.vertex = b.vertex) ON e.src = a.vertex WHERE a.dist = {k} GROUP BY a.vertex)")
+    every = " UNION ALL ".join(f"SELECT * FROM x{k}" for k in range(depth + 1))
+    return f"{bfs_ctes(name)}, {', '.join(steps)}, y AS ({every}) SELECT vertex, round(delta, 9) AS dependency FROM y"
+
+
+# Vertices of the generated graphs, which are the same at every scale.
+GENERATED = {"kron": 1580, "er": 2048}
+
+
+def _row(w: str, g: str, variant: str, c: int, sigma: str, it: str, metric: str, value: str, source: str) -> str:
+    return f"SELECT '{w}' AS workload, '{g}' AS graph, '{variant}' AS variant, {c} AS c, cast({sigma} AS BIGINT) AS sigma, cast({it} AS INTEGER) AS iter, '{metric}' AS metric, cast({value} AS DOUBLE) AS value FROM ({source})"
+
+
+def _scope(name: str, sigma: int | None) -> str:
+    return str(sigma) if sigma else f"(SELECT count(DISTINCT src) FROM ({graph_sql(name)}))"
+
+
+def traced(w: str, g: str, variant: str, c: int, sigma: int | None, skip: bool) -> list[str]:
+    return [_row(w, g, variant, c, _scope(g, sigma), "iter", m, m, work(g, c, sigma, skip)) for m in ("frontier", "slots", "skipped")]
+
+
+def swept(w: str, g: str, variant: str, c: int) -> list[str]:
+    from graphslices.layout import sigma_ladder
+
+    n = GENERATED[g]
+    return [_row(w, g, variant, c, str(s), "NULL", "pad_slots", "pad_slots", padding(g, c, [None if s >= n else s])) for s in sigma_ladder(n, c)]
+
+
+def _counted() -> dict[str, tuple[dict, str]]:
+    """Workload -> (options of experiments.counted, statement): what does not depend on the clock."""
+    from graphslices.layout import default_sigma
+    from graphslices.semiring import SEMIRINGS
+
+    out: dict[str, tuple[dict, list[str]]] = {}
+    for w, g, variant, c in (("W-01", "kron", "static", 8), ("W-02", "kron", "dynamic", 8), ("W-03", "er", "dynamic", 8), ("W-08", "kron", "dynamic", 32), ("W-09", "er", "dynamic", 32)):
+        out[w] = ({"graphs": (g,), "metrics": ("pad_slots",)}, swept(w, g, variant, c))
+    out["W-04"] = ({"graphs": ("kron", "er")}, [q for g in ("kron", "er") for s in (1, default_sigma(GENERATED[g], 8), None) for k in (True, False) for q in traced("W-04", g, "skip" if k else "plain", 8, s, k)])
+    reached = lambda g: f"SELECT count(*) AS k FROM ({bfs(g)}) WHERE dist IS NOT NULL"
+    out["W-05"] = ({}, [q for g in ("kron", "order_part") for s in SEMIRINGS.values() for q in (_row("W-05", g, s.name, 8, "NULL", "NULL", "reached", "k", reached(g)), _row("W-05", g, s.name, 8, "NULL", "NULL", "post_ops", str(s.post_ops), "SELECT 1"))])
+    cells = lambda g, s: f"SELECT * FROM ({storage(g, 8, [s])})"
+    out["W-06"] = ({}, [_row("W-06", "kron", f"{s.name} {k}", 8, _scope("kron", sigma), "NULL", "cells", "cells", f"SELECT cells FROM ({cells('kron', sigma)}) WHERE layout = '{k}'") for sigma in (16, None) for s in SEMIRINGS.values() for k in ("valued", "pattern")])
+    family = []
+    for label, g in (("community", "user_hour"), ("small", "geo_tree"), ("hub-heavy", "supplier_part"), ("road", "event_chain"), ("short paths", "conv_chain"), ("clustered", "shared_lines")):
+        ratio = f"SELECT round(cast((SELECT sum(slots) FROM ({work(g, 8, None, True)})) AS DOUBLE) / (SELECT sum(slots) FROM ({work(g, 8, None, False)})), 6) AS r"
+        family.append(_row("W-07", g, label, 8, "NULL", "NULL", "work_ratio", "r", ratio))
+        family.append(_row("W-07", g, label, 8, "NULL", "NULL", "levels", "r", f"SELECT max(dist) AS r FROM ({bfs(g)})"))
+        for metric, other in (("cells_to_valued", "valued"), ("cells_to_al", "al")):
+            family.append(_row("W-07", g, label, 8, "NULL", "NULL", metric, "r", f"SELECT round(max(cells) FILTER (layout = 'pattern') / max(cells) FILTER (layout = '{other}'), 6) AS r FROM ({storage(g, 8, [None])})"))
+    out["W-07"] = ({"graphs": ("user_hour", "geo_tree", "supplier_part", "event_chain", "conv_chain", "shared_lines")}, family)
+    out["W-10"] = ({}, [q for s in SEMIRINGS for q in traced("W-10", "kron", s, 32, 1024, True)])
+    out["W-12"] = ({"metrics": ("frontier", "slots", "skipped")}, [q for v in ("whole", "tiled") for q in traced("W-12", "kron", v, 32, 1024, True)])
+    some = ("kron", "er", "supplier_part", "order_part", "geo_tree", "event_chain")
+    out["W-17"] = ({"graphs": ("kron", "er"), "graphs_run": ("kron", "er")}, [])
+    for g in ("kron", "er"):
+        from graphslices.layout import sigma_ladder
+
+        for c in (8, 32):
+            for s in sigma_ladder(GENERATED[g], c):
+                every = storage(g, c, [None if s >= GENERATED[g] else s])
+                out["W-17"][1].append(f"SELECT 'W-17' AS workload, '{g}' AS graph, layout AS variant, c, cast({s} AS BIGINT) AS sigma, cast(NULL AS INTEGER) AS iter, 'cells' AS metric, cast(cells AS DOUBLE) AS value FROM ({every})")
+    out["W-19"] = ({}, traced("W-19", "kron", "tropical, skip, tiles", 8, None, True))
+    bound = []
+    for g in some:
+        levels = f"SELECT sum(slots) AS work, max(iter) AS d FROM ({work(g, 8, None, False)})"
+        size = f"SELECT count(*) AS n, sum(deg) AS nnz, max(deg) AS top FROM (SELECT src, count(*) AS deg FROM ({graph_sql(g)}) GROUP BY 1)"
+        bound.append(_row("W-20", g, "measured", 8, "NULL", "NULL", "work", "work", levels))
+        bound.append(_row("W-20", g, "general", 8, "NULL", "NULL", "bound", "d * (n + nnz + 8 * top)", f"SELECT * FROM ({levels}), ({size})"))
+    out["W-20"] = ({"graphs": some, "graphs_run": some, "variants": ("measured", "general")}, bound)
+    return {w: (o, " UNION ALL ".join(q)) for w, (o, q) in out.items()}
+
+
+COUNTED = _counted()
+
+
 __all__ = ["DEFAULT", "RELATIONAL", "STREAMS", "bfs", "bfs_ctes", "graph_sql", "padding", "parents", "positions", "storage", "weighted_product", "work"]

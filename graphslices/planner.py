@@ -56,6 +56,15 @@ def switch_direction(p: TraversalPlan, deep: int = 64) -> TraversalPlan:
     return replace(p, method="queue", applied=(*p.applied, "SwitchDirection")) if p.depth_guess > deep and p.method == "dense" else p
 
 
+def plan_for(layout: Layout, semiring: str = "tropical") -> TraversalPlan:
+    """What the layout tells: sizes, the widest chunk, and a guess of the depth. Thin graphs, whose largest degree is small, can only be deep: each level reaches at most that many more a vertex."""
+    from pyspark.sql import functions as F
+
+    top = layout.positions.agg(F.max("deg")).first()[0] or 0
+    depth = 0 if top > 4 else layout.n // max(1, top) if layout.nnz else 0
+    return TraversalPlan(layout.n, layout.nnz, layout.c, semiring, values=layout.valued, widest=top, depth_guess=depth)
+
+
 RULES = (drop_implied_values, switch_direction, skip_settled, tile_wide_chunks, choose_gather)
 
 

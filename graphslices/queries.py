@@ -71,7 +71,7 @@ for _s in ("tropical", "boolean", "real", "selmax"):
     add(f"bfs_relational_{_s}_{G}", dense(semiring=_s, physical="relational", keep=_keep), _sql)
 add("bfs_recovered_boolean", dense(semiring="boolean", parents="recover", keep=PARENTS), O.parents())
 add("bfs_static_schedule", dense(schedule="static", workers=4), O.bfs())
-for _g in ("customer_part", "order_part", "copurchase", "geo_tree", "user_hour", "page_links", "shared_lines", "conv_chain", "kron", "er"):
+for _g in ("customer_part", "order_part", "copurchase", "geo_tree", "user_hour", "page_links", "shared_lines", "conv_chain", "event_chain", "knn", "kron", "er"):
     add(f"levels_{_g}", dense(_g, tile=256), O.bfs(_g))
 add("selmax_parents_kron", dense("kron", "selmax", keep=PARENTS), O.parents("kron"))
 for _n, _f in {
@@ -82,13 +82,28 @@ for _n, _f in {
     add(f"bfs_{_n}_{G}", over_edges(_f), O.bfs())
 add("bfs_textbook_geo", over_edges(lambda e, r: bfs_textbook_dense(e, r), "geo_tree"), O.bfs("geo_tree"))
 add("bfs_recursive_sql_geo", over_edges(lambda e, r: bfs_recursive_sql(e, r, 4), "geo_tree"), f"SELECT vertex, dist FROM ({O.bfs('geo_tree')}) WHERE dist IS NOT NULL")
+add("bfs_queue_event_chain", over_edges(bfs_queue, "event_chain"), O.bfs("event_chain"))
 add("path_lengths_conv_chain", over_edges(bfs_queue, "conv_chain"), O.bfs("conv_chain"))
 for _t in ("max", "min"):
     add(f"parents_recovered_{_t}", over_edges(lambda e, r, t=_t: recover_parents(e, bfs_queue(e, r), t)), O.parents(tie=_t))
-add("bfs_many_roots", over_edges(lambda e, r: bfs_many(L.build_pattern_slices(e, 8, None), [r]).select("root", "vertex", "dist")), f"SELECT (SELECT vertex FROM ({O.bfs()}) WHERE dist = 0) AS root, vertex, dist FROM ({O.bfs()})")
-add(
-    "planned_traversal", over_edges(lambda e, r: planner.run(planner.rewrite(planner.TraversalPlan(n=1, nnz=1)), L.build_pattern_slices(e, 8, None), e, r).df.select("vertex", "dist")), O.bfs(),
-)
+
+
+def many_roots(spark: SparkSession, d: str) -> DataFrame:
+    """From the three vertices of highest degree."""
+    e = cut(catalog.graph(spark, d, G))
+    roots = [r.id for r in E.degrees(e).orderBy(F.desc("deg"), "id").limit(3).collect()]
+    return bfs_many(L.build_pattern_slices(e, 8, None), roots).select("root", "vertex", "dist")
+
+
+def planned(spark: SparkSession, d: str, name: str) -> DataFrame:
+    e, root = _prepared(spark, d, name)
+    layout = L.build_pattern_slices(e, 8, None)
+    return planner.run(planner.rewrite(planner.plan_for(layout)), layout, e, root).df.select("vertex", "dist")
+
+
+add("bfs_many_roots", many_roots, " UNION ALL ".join(f"SELECT * FROM ({O.bfs_ctes(G, f'(SELECT id FROM deg ORDER BY deg DESC, id LIMIT 1 OFFSET {k})')} SELECT (SELECT id FROM deg ORDER BY deg DESC, id LIMIT 1 OFFSET {k}) AS root, deg.id AS vertex, bfs.dist FROM deg LEFT JOIN bfs ON bfs.vertex = deg.id)" for k in range(3)))
+add("planned_traversal", lambda s, d: planned(s, d, G), O.bfs())
+add("planned_traversal_event_chain", lambda s, d: planned(s, d, "event_chain"), O.bfs("event_chain"))
 
 # measures
 add("degree_histogram", lambda s, d: E.degree_histogram(E.degrees(catalog.graph(s, d, G))), f"SELECT deg, count(*) AS cnt FROM {O.D_SP} GROUP BY deg")
@@ -119,23 +134,58 @@ for _layout, _valued in (("pattern", False), ("valued", True)):
     )
 for _g, _sg in ((G, None), ("kron", None), ("kron", 64), ("er", None), ("geo_tree", None)):
     for _k in (True, False):
-        add(f"work_per_iteration_{'skip' if _k else 'noskip'}_{_g}_{_sg or 'n'}", trace(_g, 8, _sg, _k), O.work(_g, 8, _sg, _k) if _k or _g not in ("geo_tree", "kron") else None)
+        add(f"work_per_iteration_{'skip' if _k else 'noskip'}_{_g}_{_sg or 'n'}", trace(_g, 8, _sg, _k), O.work(_g, 8, _sg, _k))
 add(
     "imbalance_static", lambda s, d: cost.imbalance(L.build_pattern_slices(catalog.graph(s, d, "kron"), 8, None), 4, "static"),
     f"""WITH {O._e('kron')}, {O.positions('kron', None)}, ch AS (SELECT pos // 8 AS ch, max(deg) * 8 AS slots FROM pos GROUP BY 1), w AS (SELECT ch * 4 // (SELECT count(*) FROM ch) AS worker, sum(slots) AS slots FROM ch GROUP BY 1)
         SELECT 4 AS workers, 'static' AS schedule, round(max(slots) * 4 / sum(slots), 6) AS imbalance FROM w""",
 )
 add("imbalance_dynamic", lambda s, d: cost.imbalance(L.build_pattern_slices(catalog.graph(s, d, "kron"), 8, None), 4, "dynamic"))
-add("imbalance_tiled", lambda s, d: cost.imbalance(L.build_pattern_slices(catalog.graph(s, d, "kron"), 8, None, tile_width=32), 4, "tiled"))
-add("amortization", lambda s, d: cost.amortization(s, 0.95, 0.95 / 0.21, [1, 10, 20]), "SELECT cast(r AS INTEGER) AS runs, round(0.95 / (0.95 + r * 0.95 / 0.21), 6) AS share FROM (VALUES (1), (10), (20)) t(r)")
-add("work_table", lambda s, d: cost.work_table(s, 2100, 51731, 3, 8, 558))
+add("imbalance_tiled", lambda s, d: cost.imbalance(L.build_pattern_slices(catalog.graph(s, d, "kron"), 8, None, tile_width=32), 4, "tiled"), O.tiled_imbalance("kron", 8, 32, 4))
+
+
+def amortized_slots(s: SparkSession, d: str) -> DataFrame:
+    """The share of building in building and r runs, in slots touched instead of seconds: a build writes each slot once, a run reads what its levels read."""
+    e, root = _prepared(s, d, G)
+    layout = L.build_pattern_slices(e, 8, None)
+    read = bfs_dense(layout, root).trace.agg(F.sum("slots")).first()[0]
+    return cost.amortization(s, float(cost.product_slots(layout).first()[0]), float(read), [1, 10, 20])
+
+
+def work_of_methods(s: SparkSession, d: str) -> DataFrame:
+    e, root = _prepared(s, d, G)
+    size = E.degree_summary(E.degrees(e)).first()
+    return cost.work_table(s, size.n, size.nnz // 2, E.bfs_depth(E.reachable(bfs_queue(e, root))), 8, size.max_deg)
+
+
+add(
+    "amortization", amortized_slots,
+    f"""WITH t AS ({O.work(G, 8, None, True)}), p AS ({O.padding(G, 8, [None])}) SELECT cast(r AS INTEGER) AS runs, round(slots / (slots + r * (SELECT sum(slots) FROM t)), 6) AS share FROM p, (VALUES (1), (10), (20)) v(r)""",
+)
+add("work_table", work_of_methods, O.work_table(G, 8))
+
+
+def spoilt_parents(e: DataFrame, r: int) -> DataFrame:
+    """A right result in which every fifth vertex names itself as its parent: what the check must find, and nothing else."""
+    got = bfs_dense(L.build_pattern_slices(e, 8, None), r, "selmax").df
+    return cost.invalid_parents(e, got.withColumn("parent", F.when((F.col("vertex") % 5 == 0) & F.col("dist").isNotNull(), F.col("vertex")).otherwise(F.col("parent"))))
+
+
+def spoilt_levels(e: DataFrame, r: int) -> DataFrame:
+    """Slices against a queue from whose result every seventh vertex of the second level is gone."""
+    return cost.diff_results(bfs_dense(L.build_pattern_slices(e, 8, 64), r).df, bfs_queue(e, r).where("dist <> 2 OR vertex % 7 <> 0"))
+
+
+add("invalid_parents", over_edges(spoilt_parents), f"SELECT vertex, dist, vertex AS parent FROM ({O.bfs()}) WHERE dist > 0 AND vertex % 5 = 0")
+add("different_levels", over_edges(spoilt_levels), f"SELECT vertex, dist AS dist_a, cast(NULL AS INTEGER) AS dist_b FROM ({O.bfs()}) WHERE dist = 2 AND vertex % 7 = 0")
+add("reachable_vertices", over_edges(lambda e, r: E.reachable(bfs_queue(e, r)), "page_links"), f"SELECT vertex, dist FROM ({O.bfs('page_links')}) WHERE dist IS NOT NULL")
 add(
-    "invalid_parents", over_edges(lambda e, r: cost.invalid_parents(e, bfs_dense(L.build_pattern_slices(e, 8, None), r, "selmax").df)),
-    "SELECT cast(0 AS BIGINT) AS vertex, 0 AS dist, cast(0 AS BIGINT) AS parent WHERE false",
+    "trace_work_kron", over_edges(lambda e, r: (lambda lay: cost.trace_work(bfs_dense(lay, r), lay))(L.build_pattern_slices(e, 8, None)), "kron"),
+    f"SELECT t.iter, t.frontier, t.slots, t.skipped, cast(8 * ceil(p.n / 8) AS BIGINT) AS test_work, round(skipped / ceil(p.n / 8), 6) AS skipped_share FROM ({O.work('kron', 8, None, True)}) t, ({O.padding('kron', 8, [None])}) p",
 )
 add(
-    "different_levels", over_edges(lambda e, r: cost.diff_results(bfs_dense(L.build_pattern_slices(e, 8, 64), r).df, bfs_queue(e, r))),
-    "SELECT cast(0 AS BIGINT) AS vertex, 0 AS dist_a, 0 AS dist_b WHERE false",
+    "bytes_avoided_kron", over_edges(lambda e, r: (lambda lay: cost.bytes_avoided(lay, bfs_dense(lay, r)))(L.build_pattern_slices(e, 8, None)), "kron"),
+    f"SELECT t.iter, 8 * t.slots AS col_bytes, 8 * t.slots AS val_bytes, 16 * (p.slots - t.slots) AS skipped_bytes FROM ({O.work('kron', 8, None, True)}) t, ({O.padding('kron', 8, [None])}) p",
 )
 
 # products
@@ -190,16 +240,17 @@ add("csr_offsets", lambda s, d: L.build_csr(catalog.graph(s, d, G)).select("vert
 
 # extensions
 add("odd_cycle_edges_er", over_edges(lambda e, r: extensions.odd_cycle_edges(e, bfs_queue(e, r)), "er"), f"{O.bfs_ctes('er')} SELECT src, dst FROM e JOIN bfs a ON a.vertex = src JOIN bfs b ON b.vertex = dst WHERE src < dst AND (a.dist - b.dist) % 2 = 0")
-add("pagerank_supplier_part", over_edges(lambda e, r: extensions.pagerank(L.build_pattern_slices(e, 8, None), 5)))
-add("betweenness_supplier_part", over_edges(lambda e, r: extensions.betweenness_from_root(e, bfs_dense(L.build_pattern_slices(e, 8, None), r, "real").df)))
+add("pagerank_supplier_part", over_edges(lambda e, r: extensions.pagerank(L.build_pattern_slices(e, 8, None), 5).withColumn("rank", F.round("rank", 12))), O.pagerank(G, 5))
+add("betweenness_supplier_part", over_edges(lambda e, r: extensions.betweenness_from_root(e, bfs_dense(L.build_pattern_slices(e, 8, None), r, "real").df).withColumn("dependency", F.round("dependency", 9))), O.betweenness(G, 8))
 
 for _n, _sql in O.RELATIONAL.items():
     add(_n, getattr(relational, _n), _sql)
 add("neighbour_counts_approx", relational.neighbour_counts_approx)
 for _n in ("stream_dedupe", "stream_enrich", "stream_coactivity", "stream_distance"):
     add(_n, getattr(streaming, _n), O.STREAMS[_n])
-for _k in ("tumbling", "sliding"):
+for _k in ("tumbling", "sliding", "session"):
     add(f"stream_degrees_{_k}", lambda s, d, k=_k: streaming.stream_degrees(s, d, k).select(F.col("start").cast("timestamp_ntz").alias("start"), F.col("finish").cast("timestamp_ntz").alias("finish"), "src", "deg"), O.STREAMS[f"stream_degrees_{_k}"])
-add("stream_degrees_session", lambda s, d: streaming.stream_degrees(s, d, "session"))
 for _w in experiments.WORKLOADS:
     add(f"workload_{_w.lower().replace('-', '_')}", lambda s, d, w=_w: experiments.run(s, d, w))
+for _w, (_options, _sql) in O.COUNTED.items():
+    add(f"counted_{_w.lower().replace('-', '_')}", lambda s, d, w=_w, o=_options: experiments.counted(s, d, w, **o), _sql)

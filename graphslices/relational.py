@@ -385,10 +385,10 @@ def bound_math(spark: SparkSession, d: str) -> DataFrame:
 
 
 def lane_arrays(spark: SparkSession, d: str) -> DataFrame:
-    """Every lane operation on arrays of eight degrees."""
-    deg = E.degrees(_graph(spark, d)).orderBy("id").limit(64)
-    g = deg.groupBy(F.floor(F.col("id") / 16).alias("g")).agg(F.sort_array(F.collect_list("deg")).alias("v"))
-    one = g.withColumn("a", F.concat(F.slice("v", 1, 4), F.array_repeat(F.lit(0).cast("long"), 4))).withColumn("a", F.slice("a", 1, 4)).withColumn("b", F.reverse("a"))
+    """Every lane operation on arrays of sixteen degrees, over all vertices."""
+    deg = E.degrees(_graph(spark, d))
+    g = deg.groupBy(F.floor(F.col("id") / 16).alias("g")).agg(F.sort_array(F.collect_list("deg")).alias("v"))  # sixteen ids a group
+    one = g.withColumn("a", F.slice(F.concat("v", F.array_repeat(F.lit(0).cast("long"), 16)), 1, 16)).withColumn("b", F.reverse("a"))
     a, b = F.col("a"), F.col("b")
     eq = lane_cmp(a, b)
     total = lambda x: F.aggregate(x, F.lit(0).cast("long"), lambda s, y: s + y)

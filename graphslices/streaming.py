@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from graphslices.schema import INF
-from graphslices.session import cut
+from graphslices.session import cut, shared_dir
 
 
 def stream_source(spark: SparkSession, path: str, files_a_batch: int = 4) -> DataFrame:
@@ -58,11 +58,7 @@ def coactivity(left: DataFrame, right: DataFrame, minutes: int = 5) -> DataFrame
 def drain_to_table(stream: DataFrame, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
     """Runs a stream over what is there and gives its rows, kept as Parquet where the mode allows it. For tests and backfills."""
     spark = stream.sparkSession
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not base:
-        cut(spark.range(1))
-        base = spark.sparkContext.getCheckpointDir()
-    name = f"{base}/stream-{uuid.uuid4().hex}"
+    name = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
     out = f"{name}/rows"
 
     def keep(batch: DataFrame, i: int) -> None:
@@ -98,7 +94,7 @@ def stream_min_distance(stream: DataFrame, root: int, make_edges: Callable[[Data
     """Feeds a stream's batches to MinDistance and gives (vertex, dist) at the end of what is there."""
     spark = stream.sparkSession
     state = MinDistance(spark, root)
-    base = f"{spark.conf.get('spark.checkpoint.dir', None) or spark.sparkContext.getCheckpointDir()}/stream-{uuid.uuid4().hex}"
+    base = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
     q = stream.writeStream.trigger(availableNow=True).option("checkpointLocation", base).foreachBatch(lambda b, i: state.insert(make_edges(b), i)).start()
     q.awaitTermination()
     return state.dist
@@ -110,8 +106,6 @@ def stream_min_distance(stream: DataFrame, root: int, make_edges: Callable[[Data
 def stream_degrees(spark: SparkSession, d: str, kind: str = "tumbling") -> DataFrame:
     """A stream's windowed degrees, once all of events.parquet has been read: a complete result."""
     edges = timed_edges(stream_source(spark, f"{d}/events.parquet*"), "3650 days")
-    if kind == "session":  # session windows are appended when the watermark has passed; the twin over a batch has them all
-        return degrees_in_windows(timed_edges(spark.read.parquet(f"{d}/events.parquet")), kind)
     return drain_to_table(degrees_in_windows(edges, kind), "complete")
 
 
@@ -131,6 +125,10 @@ def stream_coactivity(spark: SparkSession, d: str) -> DataFrame:
 
 
 def stream_distance(spark: SparkSession, d: str) -> DataFrame:
-    cut(spark.range(1))
-    stream = stream_source(spark, f"{d}/nation.parquet*")
-    return stream_min_distance(stream, 20_000_000, lambda b: b.select((F.col("n_nationkey") + 10_000_000).cast("long").alias("src"), (F.col("n_regionkey") + 20_000_000).cast("long").alias("dst")))
+    """Distances from the first user over the graph of users and purchases' hours, edge by edge as events arrive, in several batches."""
+    parts = f"{shared_dir(spark)}/events-{uuid.uuid4().hex}"
+    only = spark.read.parquet(f"{d}/events.parquet").where("event_type = 'purchase'")
+    only.repartition(4, "event_id").write.parquet(parts)
+    root = spark.read.parquet(f"{d}/events.parquet").agg(F.min(2 * F.col("user_id"))).first()[0]
+    hour = F.floor(F.unix_seconds(F.col("ts").cast("timestamp")) / 3600)
+    return stream_min_distance(stream_source(spark, f"{parts}/*.parquet", 1), root, lambda b: b.select((2 * F.col("user_id")).alias("src"), (2 * hour + 1).cast("long").alias("dst")))
