@@ -23,12 +23,13 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from graphslices.llm.bpe import encoder
-from graphslices.llm.common import shared_path
+from graphslices.llm.common import shared_path, written
 from graphslices.session import ship
 
 MAGIC, BITS, STEP = b"DAC1", 8, 512
 SEGMENT_SCHEMA = "part long, seq long, doc_ids array<bigint>, lengths array<bigint>, codes binary"
 SEGMENT_TOKENS = 1 << 20
+MOST_SENT = 1 << 20
 
 
 def pack(ids: np.ndarray) -> bytes:
@@ -155,7 +156,9 @@ def segments_at(spark: SparkSession, path: str) -> DataFrame:
     parts = parts.select("part", F.coalesce(F.sum("n").over(before.orderBy("part")), F.lit(0)).alias("base"))
     own = F.coalesce(F.sum("n").over(before.partitionBy("part").orderBy("seq")), F.lit(0))
     starts = counts.select("part", "seq", own.alias("own")).join(parts, "part").select("part", "seq", (F.col("own") + F.col("base")).alias("start"))
-    return files.join(starts, ["part", "seq"])
+    starts = written(starts, "starts")
+    # a row a segment of a million ids: sent to the codes while that is small, else the codes come to them
+    return files.join(F.broadcast(starts) if starts.count() <= MOST_SENT else starts, ["part", "seq"])
 
 
 def read_documents(spark: SparkSession, path: str) -> DataFrame:

@@ -7,7 +7,7 @@ than the allowed 23 have a chance of some millionths.
 
 Documents with one shingle set are one class and are compared once. Under a key, every class is paired with the key's least one, so a key costs a row per member;
 pairs within the distance are confirmed by set overlap, centre by centre, in groups of bounded size. What such stars leave apart is then settled exactly: of each set of classes
-connected by keys, the classes outside its largest confirmed component are compared, in blocks, with all others. Links between different sets
+connected by keys, the classes outside its largest confirmed component are compared, in blocks of bounded numbers of rows and shingles, with all others. Links between different sets
 within reach of the index are thus not lost, whatever the size of a group, and no list of pairs is made.
 
 Edge cases: a null or empty text, or one without words, has no shingles and links with nothing; fewer than five words are one shingle; repeated rows are copies of each other;
@@ -38,6 +38,7 @@ class HammingJoin:
     chunks: int = 12
     distance: int = 23
     block: int = 1024
+    shingles_block: int = 1 << 20
     seed: int = 5
 
 
@@ -156,8 +157,10 @@ def near_components(docs: DataFrame, p: HammingJoin = HammingJoin(), text: str =
     close = cut(
         pairs.join(sig, "doc").join(sig.select(F.col("doc").alias("centre"), F.col("sig").alias("sig0")), "centre").where(apart <= p.distance).select("doc", "centre")
     )
-    # Stars: each centre with its members, in groups of `block` members at most on average.
-    count = close.groupBy("centre").agg(F.ceil(F.count("*") / p.block).alias("parts"))
+    # Stars: each centre with its members, in groups of `block` members and `shingles_block` shingles on average.
+    size = reps.select("doc", "n_shingles")
+    blocks = lambda rows, shingles: F.ceil(F.greatest(rows / p.block, shingles / p.shingles_block))
+    count = close.join(size, "doc").groupBy("centre").agg(blocks(F.count("*"), F.sum("n_shingles")).alias("parts"))
     stars = close.join(count, "centre").select("centre", F.pmod(F.xxhash64("doc"), "parts").alias("part"), "doc")
     middle = stars.select("centre", "part").distinct().select("centre", "part", F.lit(0).alias("side"), F.col("centre").alias("doc"))
     stars = stars.select("centre", "part", F.lit(1).alias("side"), "doc").unionByName(middle)
@@ -180,9 +183,10 @@ def near_components(docs: DataFrame, p: HammingJoin = HammingJoin(), text: str =
     known = cut(within.select(F.col("node").alias("doc"), F.col("component").alias("family")).join(linked.withColumnRenamed("node", "doc"), "doc", "left").withColumn("component", F.coalesce("component", "doc")))
     # The rest: classes outside the largest component of their family, against the whole family, in blocks.
     sizes = known.groupBy("family", "component").count()
-    main = sizes.groupBy("family").agg(F.max(F.struct("count", "component")).alias("m"), F.sum("count").alias("members"), F.count("*").alias("n")).where("n > 1")
-    open_ = cut(known.join(main, "family").select("family", "doc", (F.col("component") != F.col("m.component")).alias("open"), "members"))
-    rest = open_.groupBy("family").agg(F.ceil(F.count_if("open") / p.block).cast("int").alias("xparts"), F.ceil(F.first("members") / p.block).cast("int").alias("yparts"))
+    main = sizes.groupBy("family").agg(F.max(F.struct("count", "component")).alias("m"), F.count("*").alias("n")).where("n > 1")
+    open_ = cut(known.join(main, "family").select("family", "doc", (F.col("component") != F.col("m.component")).alias("open")).join(size, "doc"))
+    rest = open_.groupBy("family").agg(
+        blocks(F.count_if("open"), F.sum(F.when(F.col("open"), F.col("n_shingles")).otherwise(0))).cast("int").alias("xparts"), blocks(F.count("*"), F.sum("n_shingles")).cast("int").alias("yparts"))
     own = open_.join(rest, "family")
     part = lambda n: F.pmod(F.xxhash64("doc"), n).cast("int")
     upto = lambda n: F.sequence(F.lit(0), F.col(n) - 1)

@@ -22,23 +22,32 @@ SYMBOLS = "[#*$%&|<>]"
 BOILERPLATE = (
     "lorem ipsum", "enable javascript", "javascript is disabled", "accept cookies", "use of cookies", "cookie policy",
     "privacy policy", "terms of use", "terms of service", "all rights reserved", "powered by", "copyright ©", "subscribe to our newsletter",
+    "alle rechte vorbehalten", "datenschutzerklärung", "cookies akzeptieren", "nutzungsbedingungen", "newsletter abonnieren",
+    "tous droits réservés", "politique de confidentialité", "accepter les cookies", "conditions d'utilisation", "abonnez-vous à notre",
+    "todos los derechos reservados", "política de privacidad", "aceptar cookies", "condiciones de uso", "suscríbete a nuestr",
 )
 NAVIGATION = (
     "home", "menu", "login", "log in", "sign in", "sign up", "register", "next", "previous", "back to top", "read more",
     "click here", "share", "print", "search", "skip to content", "site map", "sitemap",
+    "startseite", "menü", "anmelden", "abmelden", "registrieren", "weiter", "zurück", "nach oben", "weiterlesen", "mehr lesen", "teilen", "drucken", "suche", "zum inhalt springen", "impressum",
+    "accueil", "connexion", "se connecter", "s'inscrire", "suivant", "précédent", "retour en haut", "lire la suite", "partager", "imprimer", "rechercher", "aller au contenu", "plan du site",
+    "inicio", "menú", "iniciar sesión", "registrarse", "siguiente", "anterior", "volver arriba", "leer más", "compartir", "imprimir", "buscar", "saltar al contenido", "mapa del sitio",
 )
+UNLETTERED = r"[^\p{L}\x20\x09-\x0D]+"
 
 
 @dataclass(frozen=True)
 class LineRules:
     """Limits of the line rules and of the verdict.
 
-    symbol_share: a line with a larger share of symbol characters fails. shout_share: so does one with more '!!' per word.
+    symbol_share: a line with a larger share of symbol characters fails. sign_share: so does one of `sign_chars` characters at least in which a larger share is neither letters nor white space. shout_share: so does one with more '!!' per word.
     bars: and one with so many ' | ', ' » ' or ' · ' separators. open_words: and one with at least so many words without any sentence punctuation.
     short_chars: boilerplate phrases are sought only in lines up to this length. lost_share: a document that loses a larger share of its characters is rejected.
     """
 
     symbol_share: float = 0.1
+    sign_share: float = 0.5
+    sign_chars: int = 12
     shout_share: float = 0.3
     bars: int = 2
     open_words: int = 40
@@ -62,11 +71,12 @@ def line_fails(line: Column, rules: LineRules = LineRules()) -> Column:
     punctuation = (symbols > rules.symbol_share * n) | (
         shouts & (F.size(F.split(line, "!!+")) - 1 > rules.shout_share * words)
     )
+    signs = (n >= rules.sign_chars) & (n - _chars_without(line, UNLETTERED) > rules.sign_share * n)
     open_ended = (words >= rules.open_words) & ~line.rlike(r"[.!?;:…。！？؟।]")
     navigation = F.size(F.split(line, r"\s[|»·>]\s")) - 1 >= rules.bars
     named = phrase.rlike(rf"^\W*(?:{'|'.join(NAVIGATION)})\W*$")
     boilerplate = (n <= rules.short_chars) & (named | phrase.rlike("|".join(BOILERPLATE)))
-    return line.rlike(NOT_WHITE) & (punctuation | navigation | boilerplate | open_ended)
+    return line.rlike(NOT_WHITE) & (punctuation | signs | navigation | boilerplate | open_ended)
 
 
 def kept_lines(text: Column, rules: LineRules = LineRules()) -> Column:

@@ -13,9 +13,10 @@ def _line_fails(x: str, rules: line_quality.LineRules) -> str:
     words = f"len(list_filter(string_split_regex({x}, '{WS}+'), lambda w: w <> ''))"
     symbols = f"(length({x}) - length(regexp_replace({x}, '{line_quality.SYMBOLS}+', '', 'g')))"
     shouts = f"(len(string_split_regex({x}, '!!+')) - 1)"
-    names, phrases = "|".join(line_quality.NAVIGATION), "|".join(line_quality.BOILERPLATE)
+    names, phrases = ("|".join(x).replace("'", "''") for x in (line_quality.NAVIGATION, line_quality.BOILERPLATE))
     return f"""(regexp_matches({x}, '[^\\x20\\x09-\\x0D]') and (
         {symbols} > {rules.symbol_share} * length({x}) or ({shouts} > 0 and {shouts} > {rules.shout_share} * {words})
+        or (length({x}) >= {rules.sign_chars} and length({x}) - length(regexp_replace({x}, '{line_quality.UNLETTERED}', '', 'g')) > {rules.sign_share} * length({x}))
         or ({words} >= {rules.open_words} and not regexp_matches({x}, '[.!?;:…。！？؟।]'))
         or len(string_split_regex({x}, '\\s[|»·>]\\s')) - 1 >= {rules.bars}
         or (length({x}) <= {rules.short_chars} and (regexp_matches(lower({x}), '^\\W*(?:{names})\\W*$') or regexp_matches(lower({x}), '{phrases}')))))"""

@@ -40,7 +40,7 @@ def test_quality_measures_against_plain_code(spark):
     "line,fails",
     [
         ("A plain sentence of several words, with a point at its end.", False), ("Home | News | Sports | About", True), ("A%%% b### c*** d&&& e$$$ f%%%", True), ("LOUD!! WORDS!! ALL!! DAY!!", True),
-        ("Sign in", True), ("All rights reserved.", True), ("", False), ("   ", False), ("Who goes there?", False), (" ".join(["word"] * 50), True),
+        ("Sign in", True), ("All rights reserved.", True), ("", False), ("   ", False), ("Who goes there?", False), ("Menü", True), ("S'inscrire", True), ("Todos los derechos reservados.", True), ("1 2 3 4 5 6 7 8 9 10", True), ("12.05.2021", False), ("Es waren 12 Menüs da.", False), (" ".join(["word"] * 50), True),
     ],
 )
 def test_line_rules(spark, line, fails):
