@@ -230,8 +230,11 @@ def attempts(docs: DataFrame, key: str, text: str = "text") -> DataFrame | None:
 
 
 def surrogate_key(spark: SparkSession) -> str:
-    """The secret key of the session, spark.graphslices.surrogateKey; where it has none a random one, which makes surrogates differ from run to run."""
-    return spark.conf.get("spark.graphslices.surrogateKey", None) or secrets.token_hex(32)
+    """The secret key of the session, spark.graphslices.surrogateKey; where it has none, a random one is drawn and kept for the session, so that surrogates agree within it and differ from session to session."""
+    name = "spark.graphslices.surrogateKey"
+    if not spark.conf.get(name, None):
+        spark.conf.set(name, secrets.token_hex(32))
+    return spark.conf.get(name)
 
 
 def with_surrogates(docs: DataFrame, key: str, text: str = "text", count: str | None = "n_entities") -> DataFrame:
