@@ -14,6 +14,12 @@ def star(spark, leaves, hub=0):
     return out.unionByName(out.select(F.col("dst").alias("src"), F.col("src").alias("dst")))
 
 
+def test_textbook_product_beyond_tiny_graphs(spark):
+    e = star(spark, 6000).unionByName(spark.createDataFrame([(6000, 9000), (9000, 6000), (9100, 9200), (9200, 9100)], "src long, dst long"))
+    got = {r.vertex: r.dist for r in bfs_textbook_dense(e, 0).collect()}
+    assert got == {0: 0} | dict.fromkeys(range(1, 6001), 1) | {9000: 2, 9100: None, 9200: None}
+
+
 def test_recursive_statement_past_a_hub(spark):
     before = spark.conf.get("spark.sql.cteRecursionRowLimit")
     got = {r.vertex: r.dist for r in bfs_recursive_sql(star(spark, 1500), 7, 4).collect()}
