@@ -27,3 +27,21 @@ def test_recursive_statement_past_a_hub(spark):
     assert spark.conf.get("spark.sql.cteRecursionRowLimit") == before
 
 
+def test_two_hop_counts(spark):
+    rng = random.Random(5)
+    pairs = {(a, b) for a, b in ((rng.randint(0, 60), rng.randint(0, 60)) for _ in range(60)) if a != b}
+    both = pairs | {(b, a) for a, b in pairs}
+    want = {}
+    for a in {a for a, _ in both}:
+        far = {z for m in {y for x, y in both if x == a} for x, z in both if x == m and z != a}
+        if far:
+            want[a] = len(far)
+    got = relational.two_hop_counts(spark.createDataFrame(sorted(both), "src long, dst long"))
+    assert {r.src: r.two_hop for r in got.collect()} == want
+
+
+def test_two_hop_of_a_large_hub(spark):
+    got = relational.two_hop_counts(star(spark, 100_000))
+    assert [tuple(r) for r in got.groupBy("two_hop").count().collect()] == [(99_999, 100_000)]
+
+
