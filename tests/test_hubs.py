@@ -45,3 +45,12 @@ def test_two_hop_of_a_large_hub(spark):
     assert [tuple(r) for r in got.groupBy("two_hop").count().collect()] == [(99_999, 100_000)]
 
 
+def test_coactivity_joins_by_slots_of_time(spark):
+    rng = random.Random(6)
+    rows = [(i, rng.randint(0, 30), "purchase", rng.choice((600 * rng.randint(-40, 40), rng.randint(-20_000, 20_000)))) for i in range(400)]
+    df = spark.createDataFrame(rows, "event_id long, src long, event_type string, s long").withColumn("time", F.timestamp_seconds("s"))
+    got = streaming.coactivity(df, df)
+    want = sorted((x[1], y[1], x[3], y[3]) for x in rows for y in rows if x[1] < y[1] and abs(x[3] - y[3]) <= 300)
+    assert sorted(tuple(r) for r in got.select("a", "b", F.unix_seconds("at"), F.unix_seconds("bt")).collect()) == want
+    keys = [line for line in got._jdf.queryExecution().sparkPlan().toString().splitlines() if "Join" in line]
+    assert all("sa" in k and "sb" in k for k in keys) and keys
