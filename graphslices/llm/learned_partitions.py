@@ -51,14 +51,19 @@ class PartitionSearch:
         return int(min(max(8, 2 ** round(np.log2(max(1, n / self.rows_a_part)))), max(8, (whole // self.rows_a_part) or self.sampled(n) // 8)))
 
 
+def _rows_at_once(width: int) -> int:
+    """How many rows of so many doubles are worked on at once: eight megabytes, whatever the sample, as the driver holds several such blocks."""
+    return max(1, (1 << 20) // max(1, width))
+
+
 def neighbour_graph(x: np.ndarray, k: int) -> np.ndarray:
     """The k nearest other rows of each row by inner product, in blocks."""
     n, out = len(x), []
     k = min(k, n - 1)
-    for at in range(0, n, 1024):
-        s = x[at : at + 1024] @ x.T
+    for at in range(0, n, step := _rows_at_once(n)):
+        s = x[at : at + step] @ x.T
         s[np.arange(len(s)), np.arange(at, at + len(s))] = -np.inf
-        out.append(np.argpartition(-s, k - 1, axis=1)[:, :k] if k else np.zeros((len(s), 0), int))
+        out.append(np.argpartition(-s, k - 1, axis=1)[:, :k].copy() if k else np.zeros((len(s), 0), int))
     return np.concatenate(out)
 
 
@@ -71,8 +76,8 @@ def _centres(x: np.ndarray, part: np.ndarray, parts: int) -> np.ndarray:
 def _preferences(x: np.ndarray, centres: np.ndarray, most: int) -> tuple[np.ndarray, np.ndarray]:
     """The nearest centres of each row, nearest first, and by how much the first is nearer than the second."""
     best, lead = [], []
-    for at in range(0, len(x), 4096):
-        near = x[at : at + 4096] @ centres.T - (centres**2).sum(axis=1) / 2
+    for at in range(0, len(x), step := _rows_at_once(len(centres))):
+        near = x[at : at + step] @ centres.T - (centres**2).sum(axis=1) / 2
         top = np.argpartition(-near, most - 1, axis=1)[:, :most] if most < near.shape[1] else np.tile(np.arange(near.shape[1]), (len(near), 1))
         values = np.take_along_axis(near, top, axis=1)
         order = np.argsort(-values, axis=1, kind="stable")
@@ -181,17 +186,23 @@ def mass_for(router: Router, rows: np.ndarray, queries: np.ndarray, p: Partition
     k = min(p.k, len(rows) - own)
     if k < 1 or not len(queries):
         return 1.0
-    chance, part, near = router(queries), router(rows).argmax(axis=1), queries @ rows.T
-    if own:
-        near[np.arange(len(queries)), np.arange(len(queries))] = -np.inf
-    top = np.argpartition(-near, k - 1, axis=1)[:, :k]
-    order = np.argsort(-chance, axis=1, kind="stable")
-    held = np.cumsum(np.take_along_axis(chance, order, axis=1), axis=1)
-    before = held - np.take_along_axis(chance, order, axis=1)
-    place = np.empty_like(order)
-    np.put_along_axis(place, order, np.arange(order.shape[1])[None, :], axis=1)
-    # a part is taken if the parts before it hold less than the share
-    needed = np.sort(np.take_along_axis(before, np.take_along_axis(place, part[top], axis=1), axis=1).ravel())
+    parts, needed = router.w[1].size, []
+    step = _rows_at_once(parts)
+    part = np.concatenate([router(rows[at : at + step]).argmax(axis=1) for at in range(0, len(rows), step)])
+    for at in range(0, len(queries), step := _rows_at_once(max(len(rows), parts))):
+        some = queries[at : at + step]
+        chance, near = router(some), some @ rows.T
+        if own:
+            near[np.arange(len(some)), np.arange(at, at + len(some))] = -np.inf
+        top = np.argpartition(-near, k - 1, axis=1)[:, :k]
+        order = np.argsort(-chance, axis=1, kind="stable")
+        held = np.cumsum(np.take_along_axis(chance, order, axis=1), axis=1)
+        before = held - np.take_along_axis(chance, order, axis=1)
+        place = np.empty_like(order)
+        np.put_along_axis(place, order, np.arange(order.shape[1])[None, :], axis=1)
+        # a part is taken if the parts before it hold less than the share
+        needed.append(np.take_along_axis(before, np.take_along_axis(place, part[top], axis=1), axis=1).ravel())
+    needed = np.sort(np.concatenate(needed))
     return float(needed[min(len(needed) - 1, int(np.ceil(p.recall * len(needed))))]) + 1e-9
 
 
@@ -247,17 +258,27 @@ def _block(rows, queries, k: int) -> tuple[list, list, list]:
     return _best(rough, rows.vec_id.to_numpy(), r, queries.vec_id.to_numpy(), q, k)
 
 
+def _matrix(sample: DataFrame) -> tuple[int, np.ndarray]:
+    """The most frequent length of the vectors (v), and those that have it, as one array: doubles as they come, no Python objects."""
+    import pyarrow.compute as pc
+
+    v = sample.toArrow()["v"]
+    if not len(v):
+        return 0, np.zeros((0, 0))
+    length = pc.list_value_length(v).to_numpy()
+    dims = int(np.bincount(length).argmax())
+    return dims, pc.list_flatten(v.filter(pc.equal(pc.list_value_length(v), dims))).to_numpy().reshape(-1, dims)
+
+
 def search(vectors: DataFrame, is_query, p: PartitionSearch = PartitionSearch()) -> DataFrame:
     """(query_id, rank, vec_id, score, rows_read) for the rows of `vectors` (vec_id, embedding) that fulfil the column is_query."""
     spark, result = vectors.sparkSession, "query_id long, rank int, vec_id long, score double, rows_read long"
     ship(spark)
     rows = valid(vectors)
     # A bounded sample, of p.most_sample rows at most, comes to the driver.
-    picked = [r.v for r in rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(p.sampled(rows.count())).collect()]
-    if not picked:
+    dims, x = _matrix(rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(p.sampled(rows.count())).select("v"))
+    if not len(x):
         return spark.createDataFrame([], result)
-    dims = np.bincount([len(v) for v in picked]).argmax()
-    x = np.array([v for v in picked if len(v) == dims])
     rows = rows.where(F.size("v") == int(dims))
     total = rows.count()
     parts = p.parts(total)
