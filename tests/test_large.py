@@ -1,8 +1,11 @@
 """What large graphs need: their source is read once, layouts by arrays equal layouts by joins, levels send back what is new, laws close to 1 / degree do not fail."""
 
+import numpy as np
 import pytest
 
-from graphslices import catalog, edges as E, experiments, layout as L
+from graphslices import catalog, edges as E, experiments, layout as L, product
+from graphslices.bfs import bfs_dense
+from graphslices.semiring import SEMIRINGS
 from test_layout import graph
 
 PATH = [(i, i + 1) for i in range(63)]
@@ -38,6 +41,24 @@ def test_isolated_vertices_keep_their_chunks(spark):
     assert slices(lay) == slices(L.build_slices(e, 8, None, vertices=extra, spread=1)) and len(slices(lay)) == 5
 
 
+@pytest.mark.parametrize("name", list(SEMIRINGS))
+def test_levels_send_back_only_what_is_there(spark, name):
+    s, lay = SEMIRINGS[name], L.build_pattern_slices(graph(spark, PATH), 4, 1)
+    x = np.full(64, s.zero, s.dtype)
+    x[0] = 0 if name == "tropical" else 1
+    whole = {r.chunk_id: r.lanes for r in product.kernel_partials(lay, x, s).collect()}
+    some = {r.chunk_id: r.lanes for r in product.packed_partials(lay, spark.sparkContext.broadcast((x, None, None)), s).collect()}
+    assert some == {k: v for k, v in whole.items() if any(y != s.zero for y in v)} and len(some) == 1 < len(whole)
+
+
+@pytest.mark.parametrize("name", list(SEMIRINGS))
+@pytest.mark.parametrize("schedule", ["static", "dynamic"])
+def test_deep_graphs(spark, name, schedule):
+    lay = L.build_pattern_slices(graph(spark, PATH[:8]), 2, 1)
+    got = bfs_dense(lay, 3, name, skip=False, schedule=schedule, workers=2)
+    assert {r.vertex: r.dist for r in got.df.collect()} == {v: abs(v - 3) for v in range(9)}
+
+
 def test_pairs_taken_as_distinct_are(spark):
     for name in catalog.ONCE:
         e = catalog.graph(spark, "/root/testdata/sf0.001", name)
