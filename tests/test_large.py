@@ -1,9 +1,12 @@
 """What large graphs need: their source is read once, layouts by arrays equal layouts by joins, levels send back what is new, laws close to 1 / degree do not fail."""
 
+import math
+
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
-from graphslices import catalog, edges as E, experiments, layout as L, product
+from graphslices import catalog, cost, edges as E, experiments, layout as L, product
 from graphslices.bfs import bfs_dense
 from graphslices.semiring import SEMIRINGS
 from test_layout import graph
@@ -63,3 +66,12 @@ def test_pairs_taken_as_distinct_are(spark):
     for name in catalog.ONCE:
         e = catalog.graph(spark, "/root/testdata/sf0.001", name)
         assert e.count() == e.distinct().count() > 0 and e.where("src = dst OR src IS NULL OR dst IS NULL").isEmpty()
+
+
+def test_a_law_close_to_one_over_degree(spark):
+    """Least squares give such laws at some scales of a graph; the bound is then no number that a double holds."""
+    bound = cost.work_bound_powerlaw(10**6, 10**7, 8, 5, 0.5, 1.001)
+    rows = experiments.Rows("W-20")
+    rows.put("geo_tree", "power law", "bound", bound)
+    assert math.isinf(bound) and spark.createDataFrame(list(rows), experiments.SCHEMA).where(F.col("value") > 1e308).count() == 1
+    assert cost.work_bound_powerlaw(1000, 5000, 8, 3, 1.0, 2.0) == 3 * (6000 + 8 * 1000 * math.log(1000))
